@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import op01_secrets, op02_mixing, op05_minhash, op08_pieces, op10_quality
+from . import op01_secrets, op02_mixing, op03_licences, op04_embeddings, op05_minhash, op06_pii, op07_warc, op08_pieces, op09_sharding, op10_quality
 from .common import table
 
 
@@ -18,15 +18,36 @@ def op2_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return op02_mixing.mixed(table(spark, sf_dir, "documents"))
 
 
+def op3_licences(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return op03_licences.find_licences(table(spark, sf_dir, "documents"))
+
+
+def op4_embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return op04_embeddings.near_pairs(table(spark, sf_dir, "embeddings"))
+
+
 def op5_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(doc_id, group_id, keep): every document with the document that stands for its group."""
     return op05_minhash.near_duplicates(table(spark, sf_dir, "documents")).selectExpr("id AS doc_id", "`group` AS group_id", "copies", "keep")
 
 
+def op6_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return op06_pii.find_personal(table(spark, sf_dir, "documents"))
+
+
+def op7_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The sidecar index of all pages, written as monolithic files and normalised."""
+    return op07_warc.normalised_pages(table(spark, sf_dir, "pages"))
+
+
 def op8_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
     return op08_pieces.encode(table(spark, sf_dir, "documents"))
 
 
+def op9_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return op09_sharding.assign(table(spark, sf_dir, "documents"))
+
+
 def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return op10_quality.judged(table(spark, sf_dir, "documents"))
 
@@ -35,11 +56,21 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_secrets": op1_secrets,
         "op2_mixing": op2_mixing,
+        "op3_licences": op3_licences,
+        "op4_embeddings": op4_embeddings,
         "op5_minhash": op5_minhash,
+        "op6_pii": op6_pii,
+        "op7_warc": op7_warc,
         "op8_pieces": op8_pieces,
+        "op9_sharding": op9_sharding,
         "op10_quality_rules": op10_quality_rules,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_mixing": op02_mixing.mixed_sql(), "op10_quality_rules": op10_quality.judged_sql()}
+    return {
+        "op2_mixing": op02_mixing.mixed_sql(),
+        "op4_embeddings": op04_embeddings.near_pairs_sql(),
+        "op9_sharding": op09_sharding.assigned_sql(),
+        "op10_quality_rules": op10_quality.judged_sql(),
+    }
