@@ -50,14 +50,21 @@ def runs_table(spark: SparkSession, n: int) -> DataFrame:
 def with_depth(patterns: DataFrame, runs: DataFrame, seed: int) -> DataFrame:
     """Every (run, pattern) with the pattern's depth in the run.
 
-    The draws of a run are looked up by position: patterns carry item numbers, a run an array of words."""
+    A run carries an array of its items' words, a pattern the places of its items in it, one column each, so that the parities of a pair are a chain of
+    look-ups and XORs inside generated code.  The number of columns is the length of the longest pattern."""
+    longest = patterns.agg(F.max(F.size("items"))).first()[0] or 0
     items = patterns.select(F.explode("items").alias("item")).distinct().agg(F.array_sort(F.collect_set("item")).alias("names"))
-    numbered = patterns.crossJoin(F.broadcast(items)).withColumn("at", F.transform("items", lambda i: F.array_position("names", i).cast("int"))).drop("names", "items")
+    numbered = patterns.crossJoin(F.broadcast(items)).withColumn("at", F.transform("items", lambda i: (F.array_position("names", i) - 1).cast("int")))
+    # places beyond the pattern's length hold no word, which changes no parity
+    numbered = numbered.select(*[c for c in patterns.columns if c != "items"], *[F.coalesce(F.get("at", F.lit(k)), F.lit(-1)).alias(f"at{k}") for k in range(longest)])
     per_run = runs.crossJoin(F.broadcast(items)).select("run", draw(F.lit(seed), F.col("run"), F.lit("parity")).alias("rhs"), F.posexplode("names").alias("pos", "item"))
     per_run = per_run.groupBy("run", "rhs").agg(F.array_sort(F.collect_list(F.struct("pos", draw(F.lit(seed), F.col("run"), F.col("item")).alias("word")))).alias("sorted")).select("run", "rhs", F.col("sorted.word").alias("words"))
-    broken = F.aggregate("at", F.col("rhs"), lambda acc, i: acc.bitwiseXOR(F.element_at("words", i)))
-    both = numbered.crossJoin(per_run).withColumn("broken", broken)
-    return both.withColumn("depth", F.least(trailing_zeros(F.col("broken")), F.lit(DEEPEST))).drop("at", "words", "rhs", "broken")
+    broken = F.col("rhs")
+    for k in range(longest):
+        broken = broken.bitwiseXOR(F.coalesce(F.get("words", F.col(f"at{k}")), F.lit(0).cast("bigint")))
+    # the product is the work: a small pattern table must not end up in one partition; a number given here is kept by adaptive execution
+    both = numbered.repartition(max(int(patterns.sparkSession.conf.get("spark.sql.shuffle.partitions")), patterns.sparkSession.sparkContext.defaultParallelism)).crossJoin(per_run).withColumn("broken", broken)
+    return both.withColumn("depth", F.least(trailing_zeros(F.col("broken")), F.lit(DEEPEST))).drop(*[f"at{k}" for k in range(longest)], "words", "rhs", "broken")
 
 
 def nested_cells(patterns: DataFrame, runs: DataFrame, seed: int) -> DataFrame:

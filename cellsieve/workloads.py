@@ -181,7 +181,7 @@ est AS (SELECT run, m, cell_weight, attempt, CAST(cell_weight * (CAST(1 AS BIGIN
 
 
 def estimates(s: SparkSession, d: str, quality: str, theta: float) -> DataFrame:
-    return cells.estimate_runs(frequent(s, d, theta), quality, scaled(s, d, quality, theta), EstimateParams(runs=RUNS))
+    return cells.estimate_runs(frequent(s, d, theta).persist(), quality, scaled(s, d, quality, theta), EstimateParams(runs=RUNS))
 
 
 query("estimate_runs", f"WITH {estimate_sql('freq', LOW_THETA)} SELECT * FROM est")(lambda s, d: estimates(s, d, "freq", LOW_THETA))
@@ -232,8 +232,10 @@ smp AS (SELECT r.run AS sample_id, CASE WHEN level IS NULL THEN 'too_large' WHEN
 
 
 def drawn(s: SparkSession, d: str, quality: str, theta: float, n: int = SAMPLES, kappa: float = KAPPA) -> DataFrame:
-    total = estimates(s, d, quality, theta).agg(F.expr("percentile(estimate, 0.5)")).first()[0]
-    return cells.sample(frequent(s, d, theta), quality, scaled(s, d, quality, theta), total, n, kappa)
+    patterns = frequent(s, d, theta).persist()
+    bounds = scaled(s, d, quality, theta)
+    total = cells.estimate_runs(patterns, quality, bounds, EstimateParams(runs=RUNS)).agg(F.expr("percentile(estimate, 0.5)")).first()[0]
+    return cells.sample(patterns, quality, bounds, total, n, kappa)
 
 
 for _q, _t in (("uniform", THETA), ("freq", LOW_THETA), ("purity", THETA)):
