@@ -44,7 +44,7 @@ DUCK_SPLIT = "string_split(replace({t}, chr(10), ' '), ' ')"
 RULES = (
     Rule("no_words", "NOT {t} rlike '[\\\\p{{L}}\\\\p{{N}}]'", "NOT regexp_matches({t}, '[\\p{{L}}\\p{{N}}]')"),
     # marks that prose hardly holds, cells of tables and link lists, shouting: against words
-    Rule("symbols", f"{among('#$%&*^~')} * 10 > {WORDS} * 3"),
+    Rule("symbols", f"{among('#$%&*^~')} * 10 > {WORDS} * 3 AND {among('#$%&*^~')} >= 4"),
     Rule("bars", f"{among('|')} * 10 > {WORDS} AND {among('|')} >= 2"),
     Rule("exclamations", f"{among('!')} * 10 > {WORDS} * 4 AND {among('!')} >= 4"),
     Rule("braces", f"{among('{}<>').replace('{}<>', '{{}}<>')} * 10 > {WORDS} * 4 AND {among('{}<>').replace('{}<>', '{{}}<>')} >= 6"),
