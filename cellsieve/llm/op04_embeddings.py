@@ -23,7 +23,7 @@ from pyspark.sql import types as T
 from .common import mix64, times, written
 
 TABLES = 10
-HASHES = 2
+HASHES = 3
 PROBES = 3
 THRESHOLD = 0.9
 SEED = 5
