@@ -10,6 +10,7 @@ from collections.abc import Sequence
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.lineage import cut
 from ..spec import Constraints
 
 PATTERN = ("pattern", "items", "size", "freq", "freq_pos")
@@ -48,7 +49,10 @@ def frequent_cube(rows: DataFrame, attributes: Sequence[str], minsup: int, label
 
     Rows are condensed before they are expanded into cells, so the expansion works on distinct combinations."""
     condensed = rows.groupBy(*attributes).agg(F.count("*").alias("mult"), F.sum(F.col(label).cast("bigint")).alias("pos"))
-    cells = condensed.cube(*attributes).agg(F.sum("mult").alias("freq"), F.sum("pos").alias("freq_pos")).where(F.col("freq") >= minsup)
+    cells = condensed.cube(*attributes).agg(F.sum("mult").alias("freq"), F.sum("pos").alias("freq_pos"), *[F.grouping(a).alias(f"out_{a}") for a in attributes]).where(F.col("freq") >= minsup)
+    # a null that stands in the data is no item: its cell would repeat the one in which the attribute is left out
+    for a in attributes:
+        cells = cells.where((F.col(f"out_{a}") == 1) | F.col(a).isNotNull())
     items = F.array_sort(F.filter(F.array(*attributes), lambda x: x.isNotNull()))
     return finished(cells.select(items.alias("items"), "freq", "freq_pos").where(F.size("items") > 0))
 
@@ -60,6 +64,7 @@ def frequent_levelwise(tx: DataFrame, minsup: int, max_len: int) -> DataFrame:
     semi-join with the frequent itemsets drops the rest before the next level."""
     rows = without_infrequent(tx, minsup).withColumn("tid", F.xxhash64("tid", "items"))
     single = rows.select("tid", "label", F.explode("items").alias("item"))
+    # a level is read twice, by its count and by the next level, so each is kept in the shared folder
     occurrences = single.select("tid", "label", F.array("item").alias("items"), F.col("item").alias("last"))
     out = None
     for size in range(1, max_len + 1):
@@ -67,7 +72,9 @@ def frequent_levelwise(tx: DataFrame, minsup: int, max_len: int) -> DataFrame:
         out = level if out is None else out.union(level)
         if size < max_len:
             kept = occurrences.join(level.select("items"), "items", "left_semi")
-            occurrences = kept.join(single.select("tid", "item"), "tid").where("item > last").select("tid", "label", F.concat("items", F.array("item")).alias("items"), F.col("item").alias("last"))
+            occurrences = cut(kept.join(single.select("tid", "item"), "tid").where("item > last").select("tid", "label", F.concat("items", F.array("item")).alias("items"), F.col("item").alias("last")))
+            if occurrences.isEmpty():
+                break
     return finished(out)
 
 
