@@ -6,7 +6,9 @@ and rules go by rejections per second, falling.  The chosen order becomes one CA
 only until the first that holds; it stays inside generated code, with no Python and no shuffle.
 
 Definitions for odd input.  A null text, an empty one and one without any letter or digit are rejected by rule `no_words`.  A text of one good
-word is kept: no rule asks for a length.  Null ids are judged like any other row; repeated rows are judged alike.
+word is kept: no rule asks for a length.  A word is a run of characters without white space (any white space ends it); of scripts that put no space
+between words every character counts as one.  judged_sql() still counts a text's ASCII spaces plus one, and so differs on texts with other
+white space, repeated spaces or such scripts.  Null ids are judged like any other row; repeated rows are judged alike.
 """
 
 from __future__ import annotations
@@ -37,25 +39,56 @@ def among(chars: str) -> str:
     return f"(length({{t}}) - length(translate({{t}}, '{chars}', '')))"
 
 
-WORDS = "(1 + length({t}) - length(replace({t}, ' ', '')))"
+#: White space, the zero-width space among it; characters of scripts that put no space between words (Thai, Lao, Myanmar, Khmer, kana, Han of the basic plane).
+BLANK = r"\s\x{1c}-\x{1f}\x{85}\x{a0}\x{1680}\x{2000}-\x{200b}\x{2028}\x{2029}\x{202f}\x{205f}\x{3000}"
+JOINED = r"\x{0e00}-\x{0eff}\x{1000}-\x{109f}\x{1780}-\x{17ff}\x{3005}-\x{3007}\x{3040}-\x{30ff}\x{3400}-\x{4dbf}\x{4e00}-\x{9fff}\x{f900}-\x{faff}"
+WORD = f"[{JOINED}]|[^{BLANK}{JOINED}]++"
+#: A word that stands again next to itself.
+ECHO = f"([{JOINED}])(?=[{BLANK}]*+\\1)|(?<![^{BLANK}{JOINED}])([^{BLANK}{JOINED}]++)(?=[{BLANK}]++\\2(?![^{BLANK}{JOINED}]))"
+
+
+def occurrences(pattern: str) -> str:
+    """SQL for the number of matches of the pattern in {t}."""
+    return "regexp_count({t}, '" + pattern.replace("\\", "\\\\").replace("{", "{{").replace("}", "}}") + "')"
+
+
+#: Texts without these characters have no white space but that of \s and no script without spaces; on them simpler patterns count the same, much faster.
+OTHER = r"[\x{1c}-\x{1f}\x{85}\x{a0}\x{0e00}-\x{ffff}]"
+
+
+def quick(pattern: str, plain: str) -> str:
+    return f"(CASE WHEN {occurrences(OTHER).replace('regexp_count', 'regexp_like')} THEN {occurrences(pattern)} ELSE {occurrences(plain)} END)"
+
+
+WORDS = quick(WORD, r"\S++")
+ECHOES = quick(ECHO, r"(?<!\S)(\S++)(?=\s++\1(?!\S))")
+DUCK_WORDS = "(1 + length({t}) - length(replace({t}, ' ', '')))"
 CAPITALS = among("ABCDEFGHIJKLMNOPQRSTUVWXYZÀÁÂÄÇÈÉÊÍÑÓÔÖÚÜ")
-SPLIT = "split(replace({t}, chr(10), ' '), ' ')"
 DUCK_SPLIT = "string_split(replace({t}, chr(10), ' '), ' ')"
+DOTS = "(length({t}) - length(replace({t}, '...', '')))"
+
+
+def dense(name: str, marks: str, tenths: int, least: int) -> Rule:
+    """At least so many marks, and more than so many tenths of the words."""
+    share = "" if tenths == 1 else f" * {tenths}"
+    return Rule(name, f"{marks} >= {least} AND {marks} * 10 > {WORDS}{share}", f"{marks} * 10 > {DUCK_WORDS}{share} AND {marks} >= {least}")
+
+
 RULES = (
     Rule("no_words", "NOT {t} rlike '[\\\\p{{L}}\\\\p{{N}}]'", "NOT regexp_matches({t}, '[\\p{{L}}\\p{{N}}]')"),
-    # marks that prose hardly holds, cells of tables and link lists, shouting: against words
-    Rule("symbols", f"{among('#$%&*^~')} * 10 > {WORDS} * 3 AND {among('#$%&*^~')} >= 4"),
-    Rule("bars", f"{among('|')} * 10 > {WORDS} AND {among('|')} >= 2"),
-    Rule("exclamations", f"{among('!')} * 10 > {WORDS} * 4 AND {among('!')} >= 4"),
-    Rule("braces", f"{among('{}<>').replace('{}<>', '{{}}<>')} * 10 > {WORDS} * 4 AND {among('{}<>').replace('{}<>', '{{}}<>')} >= 6"),
+    # marks that prose hardly holds, cells of tables and link lists, shouting: against words, which are counted only where there are marks enough
+    dense("symbols", among("#$%&*^~"), 3, 4),
+    dense("bars", among("|"), 1, 2),
+    dense("exclamations", among("!"), 4, 4),
+    dense("braces", among("{}<>").replace("{}<>", "{{}}<>"), 4, 6),
     Rule("capitals", f"{CAPITALS} * 10 > length({{t}}) * 5 AND length({{t}}) >= 40"),
     Rule("digits", f"{among('0123456789')} * 10 > length({{t}}) * 5 AND length({{t}}) >= 40"),
-    Rule("ellipses", f"(length({{t}}) - length(replace({{t}}, '...', ''))) * 2 > {WORDS} * 3 AND length({{t}}) - length(replace({{t}}, '...', '')) >= 12"),
-    # a word that follows itself
+    Rule("ellipses", f"{DOTS} >= 12 AND {DOTS} * 2 > {WORDS} * 3", f"{DOTS} * 2 > {DUCK_WORDS} * 3 AND {DOTS[1:-1]} >= 12"),
+    # a word that follows itself; CASE, since Spark would count the words of all texts for AND
     Rule(
         "echoes",
-        f"{WORDS} >= 8 AND size(filter(zip_with({SPLIT}, slice({SPLIT}, 2, size({SPLIT})), (a, b) -> a = b AND a <> ''), x -> x)) * 5 > {WORDS}",
-        f"{WORDS} >= 8 AND len(list_filter(list_zip({DUCK_SPLIT}, {DUCK_SPLIT}[2:]), lambda x: coalesce(x[1] = x[2] AND x[1] <> '', false))) * 5 > {WORDS}",
+        f"CASE WHEN {ECHOES} >= 2 THEN {WORDS} >= 8 AND {ECHOES} * 5 > {WORDS} ELSE false END",
+        f"{DUCK_WORDS} >= 8 AND len(list_filter(list_zip({DUCK_SPLIT}, {DUCK_SPLIT}[2:]), lambda x: coalesce(x[1] = x[2] AND x[1] <> '', false))) * 5 > {DUCK_WORDS}",
     ),
 )
 

@@ -371,3 +371,36 @@ def test_quality(spark, odd, nothing):
     assert rows(op10_quality.filter_documents(nothing)) == []
     a, b, c = op10_quality.RULES[:3]
     assert op10_quality.ordered([(a, 1.0, 0.1), (b, 1.0, 0.3), (c, 0.1, 0.1)]) == (c, b, a)
+
+
+def test_quality_counts_words_of_any_white_space_and_script(spark):
+    rng = random.Random(10)
+    han = "".join(rng.choice("春天来了花园里开满红色的小朵孩子们在草地上奔跑唱歌") for _ in range(400))
+    thai = "".join(rng.choice("กขคงจชซดตถทนบปพฟมยรลวสหอ") for _ in range(400))
+    lined, tabbed = words(rng, 200).replace(" ", "\n"), words(rng, 200).replace(" ", "\t")
+    marks = "| a | b $5 $6 10% 20% wow! no! oh! yes! "
+    good = [han + marks, thai + marks, "かな" + han + "カナ" + marks, f"{lined}\n{marks}", f"{tabbed}\t{marks}", f"{lined}\u00a0{marks}"]
+    bad = ["\n".join(["spam"] * 12), "\t".join(["spam"] * 12), "spam  " * 12, "哈" * 12, "a  |  b  |" + " " * 60, "x$" + " " * 60 + "y$ z% w%", "w!!!!" + " " * 90 + "v"]
+    df = spark.createDataFrame([(i, t, "en", "a", 1) for i, t in enumerate(good + bad)], SCHEMA)
+    got = {r["doc_id"]: r for r in op10_quality.judged(df).collect()}
+    assert [got[i]["failed"] for i in range(len(good))] == [""] * len(good)
+    assert [got[len(good) + i]["failed"] for i in range(len(bad))] == ["echoes"] * 4 + ["bars", "symbols", "exclamations"]
+
+    # the counts against a walk over the characters
+    def tokens(t):
+        out, open_ = [], False
+        for c in t:
+            alone = "\u0e00" <= c <= "\u0eff" or "\u3040" <= c <= "\u30ff" or "\u4e00" <= c <= "\u9fff"
+            if c.isspace() or c == "\u200b":
+                open_ = False
+            elif alone or not open_:
+                out.append(c)
+                open_ = not alone
+            else:
+                out[-1] += c
+        return out
+
+    texts = ["".join(rng.choice("ab|! \n\t\u3000\u00a0\u200b\u0085春ก𠀀") for _ in range(rng.randint(0, 40))) for _ in range(400)]
+    df = spark.createDataFrame([(i, t, "en", "a", 1) for i, t in enumerate(texts)], SCHEMA)
+    found = df.selectExpr("text", op10_quality.WORDS.format(t="text"), op10_quality.ECHOES.format(t="text")).collect()
+    assert [tuple(r)[1:] for r in found] == [(len(w), sum(a == b for a, b in zip(w, w[1:]))) for w in (tokens(r[0]) for r in found)]
