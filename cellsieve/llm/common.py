@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
+import bisect
 import tempfile
 import uuid
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -20,10 +21,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors share.  It is the session's checkpoint folder; only where none is set
-    (tests on one machine) a temporary folder becomes the checkpoint folder."""
+    """The folder that all executors share: the session's checkpoint folder.  Only where none is set and all runs on one machine
+    (tests) a temporary folder becomes the checkpoint folder; on a cluster without one this raises."""
     found = spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None)
     if not found:
+        if not spark.sparkContext.master.startswith("local["):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         found = "file://" + tempfile.mkdtemp(prefix="cellsieve-")
     if not spark.sparkContext.getCheckpointDir():
         spark.sparkContext.setCheckpointDir(found)
@@ -78,3 +81,32 @@ def chunks(batch: pa.RecordBatch, column: str, rows: int = 512, chars: int = 4_0
         held += int(n)
     if start < batch.num_rows:
         yield batch.slice(start)
+
+
+def lowered(text: str) -> str:
+    """Lower case with the same offsets: characters whose lower case is longer stay."""
+    low = text.lower()
+    return low if len(low) == len(text) else "".join(x if len(x) == 1 else c for c in text for x in [c.lower()])
+
+
+class Taken:
+    """Disjoint stretches [start, stop), kept in order, so that a new one is placed or refused by bisection."""
+
+    def __init__(self) -> None:
+        self.starts: list[int] = []
+        self.stops: list[int] = []
+
+    def add(self, start: int, stop: int) -> bool:
+        """Whether [start, stop) overlapped nothing and was added."""
+        at = bisect.bisect_right(self.starts, start)
+        if at and self.stops[at - 1] > start or at < len(self.starts) and self.starts[at] < stop:
+            return False
+        self.starts.insert(at, start)
+        self.stops.insert(at, stop)
+        return True
+
+
+def disjoint(spans: Iterable[tuple], start: int, stop: int) -> list[tuple]:
+    """Of spans in order of preference, those that overlap no earlier choice; start and stop are their places in the tuples."""
+    taken = Taken()
+    return [s for s in spans if taken.add(s[start], s[stop])]

@@ -2,7 +2,12 @@
 
 One Aho-Corasick pass over the lower-cased text finds keywords; only where one stands is that keyword's pattern matched, anchored at
 the keyword, so a text without keywords costs one pass.  A match must then pass its rule's check: the CRC32 that
-GitHub and npm tokens end with, a JSON header in web tokens, the spread of characters in values of assignments.
+GitHub and npm tokens end with, a JSON header in web tokens, the spread of characters in values of assignments.  Every pattern reads a bounded stretch,
+or one that ends where the keyword stands next, so a text costs its length, however many keywords it holds.
+
+Not found: secrets without a prefix that is known here, a word of assignment before them, or a check; values of assignments without both a letter and
+a digit, or longer than MAX_VALUE; passwords that hold a quote, a bracket, a comma or a semicolon and are not quoted.  A private key's
+first line alone, with no key after it, is no secret.
 
 Definitions for odd input.  Null and empty texts hold nothing.  Offsets count characters of the whole text, which is never cut; `stop` is
 exclusive.  Where matches overlap, the rule that stands first in RULES wins, then the longer match, then the earlier.  Repeated
@@ -27,12 +32,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import chunks
+from .common import chunks, disjoint, lowered
 
 BASE62 = "0123456789ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz"
-#: Bits a character that the value of an assignment needs, and its least length.
+#: Bits a character that the value of an assignment needs, its least length (of passwords: MIN_PASSWORD), and the longest that is a key and not data.
 MIN_BITS = 2.5
 MIN_VALUE = 12
+MIN_PASSWORD = 8
+MAX_VALUE = 512
 
 
 def crc_tail(secret: str) -> bool:
@@ -75,34 +82,45 @@ class Rule:
 
 
 END = r"(?![A-Za-z0-9_])"
+KEY = r"(?:[A-Z0-9]++ )*PRIVATE KEY(?: BLOCK)?-----"
+WORDS = r"(?i:token|secret|api[_-]?key|access_key|private_key|credentials?)"
+PASSWORDS = r"(?i:password|passwd|pwd)"
+#: Between an assignment's name and its value.
+GIVEN = r"[\w-]{0,30}[\"']?\s{0,4}(?::=|=>|=|:)\s{0,4}"
 RULES = (
-    Rule("private_key", ("-----begin ",), r"-----BEGIN (?:[A-Z0-9]+ )*PRIVATE KEY(?: BLOCK)?-----[\s\S]*?(?:-----END (?:[A-Z0-9]+ )*PRIVATE KEY(?: BLOCK)?-----|\Z)"),
+    # up to its end line, which is the next row of five dashes; where that is missing, as in a text that was cut, the lines of base 64 after the first line
+    Rule("private_key", ("-----begin ",), rf"-----BEGIN {KEY}(?:[^-]*+(?:-(?!----)[^-]*+)*+-----END {KEY}|(?:(?:\s|\\n)*+[A-Za-z0-9+/]{{32,}}+={{0,2}})++)"),
     Rule("aws_key_id", ("akia", "asia", "abia", "acca"), r"(?<![A-Za-z0-9])(?:AKIA|ASIA|ABIA|ACCA)[A-Z0-9]{16}" + END),
     Rule("github_token", ("ghp_", "gho_", "ghu_", "ghs_", "ghr_"), r"(?<![A-Za-z0-9])gh[pousr]_[A-Za-z0-9]{36}" + END, crc_tail),
     Rule("github_fine_token", ("github_pat_",), r"github_pat_[A-Za-z0-9]{22}_[A-Za-z0-9]{59}" + END),
     Rule("npm_token", ("npm_",), r"(?<![A-Za-z0-9])npm_[A-Za-z0-9]{36}" + END, crc_tail),
-    Rule("slack_token", ("xoxb-", "xoxa-", "xoxp-", "xoxr-", "xoxs-"), r"xox[abprs]-[A-Za-z0-9-]{10,}"),
-    Rule("slack_hook", ("hooks.slack.com/",), r"hooks\.slack\.com/services/[A-Za-z0-9/+]{40,}"),
-    Rule("stripe_key", ("sk_live_", "rk_live_", "sk_test_", "rk_test_"), r"(?<![A-Za-z0-9])[sr]k_(?:live|test)_[A-Za-z0-9]{16,}"),
+    Rule("slack_token", ("xoxb-", "xoxa-", "xoxp-", "xoxr-", "xoxs-"), r"xox[abprs]-[A-Za-z0-9-]{10,250}+"),
+    Rule("slack_hook", ("hooks.slack.com/",), r"hooks\.slack\.com/services/[A-Za-z0-9/+]{40,250}+"),
+    Rule("stripe_key", ("sk_live_", "rk_live_", "sk_test_", "rk_test_"), r"(?<![A-Za-z0-9])[sr]k_(?:live|test)_[A-Za-z0-9]{16,250}+"),
     Rule("google_key", ("aiza",), r"(?<![A-Za-z0-9])AIza[A-Za-z0-9_-]{35}(?![A-Za-z0-9_-])"),
     Rule("sendgrid_key", ("sg.",), r"(?<![A-Za-z0-9])SG\.[A-Za-z0-9_-]{22}\.[A-Za-z0-9_-]{43}(?![A-Za-z0-9_-])"),
-    Rule("web_token", ("eyj",), r"(?<![A-Za-z0-9])eyJ[A-Za-z0-9_-]+\.eyJ[A-Za-z0-9_-]+\.[A-Za-z0-9_-]+", json_header),
-    Rule("url_password", ("://",), r"://[^\s/:@]+:(?P<s>[^\s/:@]{3,})@[A-Za-z0-9.-]+"),
+    Rule("gitlab_token", ("glpat-",), r"(?<![A-Za-z0-9])glpat-[A-Za-z0-9_-]{20,64}+(?![A-Za-z0-9_-])"),
+    Rule("pypi_token", ("pypi-",), r"(?<![A-Za-z0-9])pypi-[A-Za-z0-9_-]{85,250}+(?![A-Za-z0-9_-])"),
+    Rule("hub_token", ("hf_",), r"(?<![A-Za-z0-9])hf_[A-Za-z]{34}" + END),
+    Rule("web_token", ("eyj",), r"(?<![A-Za-z0-9_-])eyJ[A-Za-z0-9_-]++\.eyJ[A-Za-z0-9_-]++\.[A-Za-z0-9_-]++", json_header),
+    Rule("url_password", ("://",), r"://[^\s/:@]++:(?P<s>[^\s/:@]{3,}+)@[A-Za-z0-9.-]++"),
+    Rule("bearer", ("bearer ",), r"(?i:bearer )(?P<s>[A-Za-z0-9+/_.~=-]{20,%d}+)(?![A-Za-z0-9+/_.~=-])" % MAX_VALUE, spread),
     Rule(
         "assigned_value",
-        ("token", "secret", "password", "passwd", "pwd", "api_key", "apikey", "api-key", "access_key", "private_key", "credential"),
-        r"(?i:token|secret|password|passwd|pwd|api[_-]?key|access_key|private_key|credentials?)[\w-]{0,30}[\"']?\s{0,4}(?::=|=>|=|:)\s{0,4}(?:[\"'](?P<q>[^\s\"']{%d,})[\"']|(?P<s>[A-Za-z0-9+/_.~=-]{%d,}))" % (MIN_VALUE, MIN_VALUE),
+        ("token", "secret", "api_key", "apikey", "api-key", "access_key", "private_key", "credential"),
+        WORDS + GIVEN + r"(?:[\"'](?P<q>[^\s\"']{%d,%d}+)[\"']|(?P<s>[A-Za-z0-9+/_.~=-]{%d,%d}+)(?![A-Za-z0-9+/_.~=-]))" % (MIN_VALUE, MAX_VALUE, MIN_VALUE, MAX_VALUE),
+        spread,
+    ),
+    # of a password any characters may be part, up to white space, a quote or a closing delimiter
+    Rule(
+        "assigned_value",
+        ("password", "passwd", "pwd"),
+        PASSWORDS + GIVEN + r"(?:[\"'](?P<q>[^\s\"']{%d,%d}+)[\"']|(?P<s>[^\s\"',;<>(){}\[\]]{%d,%d}+)(?![^\s\"',;<>(){}\[\]]))" % (MIN_PASSWORD, MAX_VALUE, MIN_PASSWORD, MAX_VALUE),
         spread,
     ),
 )
 
 
-def lowered(text: str) -> str:
-    """Lower case with the same offsets: characters whose lower case is longer stay."""
-    low = text.lower()
-    return low if len(low) == len(text) else "".join(x if len(x) == 1 else c for c in text for x in [c.lower()])
-
-
 @lru_cache(None)
 def scanner() -> tuple[ahocorasick.Automaton, tuple[re.Pattern[str], ...]]:
     by: dict[str, list[int]] = {}
@@ -126,13 +144,7 @@ def matches(text: str, rule: int, pattern: re.Pattern[str], at: int) -> tuple[in
 
 def resolved(found: set[tuple[int, int, int]]) -> list[tuple[int, int, int]]:
     """(rule, start, stop) without overlaps, by start."""
-    out: list[tuple[int, int, int]] = []
-    taken: list[tuple[int, int]] = []
-    for rule, start, stop in sorted(found, key=lambda x: (x[0], x[1] - x[2], x[1])):
-        if not any(a < stop and start < b for a, b in taken):
-            taken.append((start, stop))
-            out.append((rule, start, stop))
-    return sorted(out, key=lambda x: x[1])
+    return sorted(disjoint(sorted(found, key=lambda x: (x[0], x[1] - x[2], x[1])), 1, 2), key=lambda x: x[1])
 
 
 def scan(text: str | None) -> list[tuple[int, int, int]]:
