@@ -1,4 +1,10 @@
-"""Public licence notices and texts that the licence scan knows.  Several templates may share a name."""
+"""Public licence notices and texts that the licence scan knows.  Several templates may share a name.
+
+Whole texts: MIT, BSD, ISC, and, from the folder `licences`, Apache 2.0, GPL 2 and 3, LGPL 2.1 and 3, MPL 2.0 and CC0 1.0.  Notices alone: AGPL, the Boost
+licence, the other Creative Commons licences; the openings of the Unlicense and zlib.
+"""
+
+from importlib.resources import files
 
 PERMIT = "to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the following conditions:"
 AS_IS = "THE SOFTWARE IS PROVIDED \"AS IS\", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL THE AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM, OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE SOFTWARE."
@@ -35,3 +41,4 @@ TEMPLATES: list[tuple[str, str]] = [
     ("cc-by-nc-4.0", "This work is licensed under a Creative Commons Attribution-NonCommercial 4.0 International License."),
     ("cc0-1.0", "To the extent possible under law, the author has waived all copyright and related or neighboring rights to this work."),
 ]
+TEMPLATES += sorted((f.name.removesuffix(".txt"), f.read_text("utf-8")) for f in (files(__package__) / "licences").iterdir() if f.name.endswith(".txt"))

@@ -16,7 +16,7 @@ their spans; a text with one notice several times has a span for each.
 from __future__ import annotations
 
 import re
-from collections.abc import Iterator
+from collections.abc import Iterator, Sequence
 from functools import lru_cache
 
 import numpy as np
@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import chunks
+from .common import chunks, disjoint, lowered
 from .licence_texts import TEMPLATES
 
 TOKEN = re.compile(r"[^\W_]+")
@@ -111,11 +111,19 @@ class SuffixAutomaton:
             yield at + 1, size, state
 
 
-@lru_cache(1)
-def scanner() -> tuple[dict[str, int], SuffixAutomaton, list[int]]:
-    ids: dict[str, int] = {}
-    seqs = [[ids.setdefault(w, len(ids)) for w in TOKEN.findall(t.lower())] for _, t in TEMPLATES]
-    return ids, SuffixAutomaton(seqs), [len(s) for s in seqs]
+class Scanner:
+    """The automaton of the templates (name, text), and what a scan needs beside it."""
+
+    def __init__(self, templates: tuple[tuple[str, str], ...]) -> None:
+        self.names = [n for n, _ in templates]
+        self.ids: dict[str, int] = {}
+        seqs = [[self.ids.setdefault(w, len(self.ids)) for w in TOKEN.findall(lowered(t))] for _, t in templates]
+        self.automaton, self.lengths = SuffixAutomaton(seqs), [len(s) for s in seqs]
+
+
+@lru_cache(2)
+def scanner(templates: tuple[tuple[str, str], ...] = tuple(TEMPLATES)) -> Scanner:
+    return Scanner(templates)
 
 
 def chained(matches: list[tuple[int, int, int]], length: int) -> Iterator[tuple[int, int, int]]:
@@ -127,7 +135,7 @@ def chained(matches: list[tuple[int, int, int]], length: int) -> Iterator[tuple[
         cover, start = n, x - n
         for j in range(k - 1, -1, -1):
             x2, t2, n2 = matches[j]
-            if x2 < x - n - MAX_GAP - length:
+            if x2 < x - n - MAX_GAP:
                 break
             # overlapping ends are cut from the later match
             cut = max(0, x2 - (x - n), t2 - (t - n))
@@ -139,9 +147,9 @@ def chained(matches: list[tuple[int, int, int]], length: int) -> Iterator[tuple[
             yield start, stop, cover
 
 
-def spans(tokens: list[int]) -> list[tuple[int, int, int, int]]:
+def spans(tokens: list[int], scan: Scanner) -> list[tuple[int, int, int, int]]:
     """(template, token start, token stop, covered) without overlaps, by start; -1 stands for tokens that no template has."""
-    _, auto, lengths = scanner()
+    auto, lengths = scan.automaton, scan.lengths
     known = np.array(tokens, np.int64) >= 0
     edge = np.flatnonzero(np.diff(np.concatenate([[0], known.astype(np.int8), [0]])))
     per: dict[int, dict[tuple[int, int], int]] = {}
@@ -155,41 +163,51 @@ def spans(tokens: list[int]) -> list[tuple[int, int, int, int]]:
                     per.setdefault(s, {}).setdefault((a + end, e), size)
                 state = auto.link[state]
                 size = auto.length[state]
-    maximal = {s: [(x, e, n) for (x, e), n in m.items() if (x + 1, e + 1) not in m] for s, m in per.items()}
-    found = [(s, start, stop, cover) for s, m in maximal.items() for start, stop, cover in chained(m, lengths[s])]
-    out: list[tuple[int, int, int, int]] = []
-    for f in sorted(found, key=lambda f: (-f[3], -f[3] / lengths[f[0]], f[0], f[1], f[2])):
-        if all(f[2] <= o[1] or o[2] <= f[1] for o in out):
-            out.append(f)
-    return sorted(out, key=lambda f: f[1])
-
-
-def scan(text: str | None) -> list[tuple[str, int, int, int, float]]:
+    found = []
+    for s, m in per.items():
+        maximal = [(x, e, n) for (x, e), n in m.items() if (x + 1, e + 1) not in m]
+        # a template of which all matches together touch too few tokens has no chain
+        if touched(maximal) >= MIN_COVER * lengths[s]:
+            found += [(s, start, stop, cover) for start, stop, cover in chained(maximal, lengths[s])]
+    order = sorted(found, key=lambda f: (-f[3], -f[3] / lengths[f[0]], f[0], f[1], f[2]))
+    return sorted(disjoint(order, 1, 2), key=lambda f: f[1])
+
+
+def touched(matches: list[tuple[int, int, int]]) -> int:
+    """Template tokens in any of the matches."""
+    out = last = 0
+    for start, stop in sorted({(t - n, t) for _, t, n in matches}):
+        out += max(0, stop - max(start, last))
+        last = max(last, stop)
+    return out
+
+
+def scan(text: str | None, templates: tuple[tuple[str, str], ...] = tuple(TEMPLATES)) -> list[tuple[str, int, int, int, float]]:
     """(licence, start, stop, tokens, cover) of a text."""
     if not text:
         return []
-    ids, _, lengths = scanner()
-    get = ids.get
-    tokens = [get(w, -1) for w in TOKEN.findall(text.lower())]
-    found = spans(tokens)
+    s = scanner(templates)
+    get, low = s.ids.get, lowered(text)
+    found = spans([get(w, -1) for w in TOKEN.findall(low)], s)
     if not found:
         return []
-    low = text.lower()
-    if len(low) != len(text):  # offsets must be those of the text
-        low = text
     at = [m.span() for m in TOKEN.finditer(low)]
-    return [(TEMPLATES[s][0], at[a][0], at[b - 1][1], c, round(c / lengths[s], 6)) for s, a, b, c in found]
+    return [(s.names[k], at[a][0], at[b - 1][1], c, round(c / s.lengths[k], 6)) for k, a, b, c in found]
+
 
+def find_licences(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", templates: Sequence[tuple[str, str]] = TEMPLATES) -> DataFrame:
+    """(doc_id, licence, start, stop, tokens, cover), one row a span: tokens of the template that it covers, and their share of the template.
 
-def find_licences(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, licence, start, stop, tokens, cover), one row a span: tokens of the template that it covers, and their share of the template."""
+    templates: (name, text) pairs; a worker builds their automaton once."""
+    held = docs.sparkSession.sparkContext.broadcast(tuple((str(n), str(t)) for n, t in templates))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known = held.value
         for whole in batches:
             out: list[tuple] = []
             for b in chunks(whole, "text"):
                 for i, t in zip(b.column("doc_id").to_pylist(), b.column("text").to_pylist()):
-                    out += [(i, *x) for x in scan(t)]
+                    out += [(i, *x) for x in scan(t, known)]
             cols = list(zip(*out)) or [()] * 6
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, (pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.int64(), pa.float64()))], ["doc_id", "licence", "start", "stop", "tokens", "cover"])
 
