@@ -35,6 +35,8 @@ ROWS = 4
 SHINGLE = 3
 THRESHOLD = 0.45
 CACHE = 400_000
+#: Members of a bucket that one task compares with so many others.
+BLOCK = 2_000
 
 
 @lru_cache(None)
@@ -156,7 +158,8 @@ def signatures(row: np.ndarray, h: np.ndarray, weight: np.ndarray, n_rows: int,
 
 
 def row_key(id_col: str, text_col: str) -> Column:
-    return F.xxhash64(F.lit("row"), F.col(id_col), F.col(text_col))
+    """128 bits of the row, so that no two rows of any table share them by chance."""
+    return F.unhex(F.md5(F.concat(F.coalesce(F.col(id_col).cast("string"), F.lit("null")), F.lit(":"), F.coalesce(F.concat(F.lit("="), F.col(text_col).cast("string")), F.lit("null")))))
 
 
 def sign(docs: DataFrame, id_col: str, text_col: str, shingle: int, k: int) -> DataFrame:
@@ -172,7 +175,7 @@ def sign(docs: DataFrame, id_col: str, text_col: str, shingle: int, k: int) -> D
                 yield pa.RecordBatch.from_arrays([b.column("rid"), b.column("id"), pa.array([s.tobytes() if x else None for s, x in zip(sig, has)], pa.binary())], ["rid", "id", "sig"])
 
     src = docs.select(row_key(id_col, text_col).alias("rid"), F.col(id_col).cast("bigint").alias("id"), F.col(text_col).cast("string").alias("text"))
-    return src.mapInArrow(run, "rid bigint, id bigint, sig binary")
+    return src.mapInArrow(run, "rid binary, id bigint, sig binary")
 
 
 @F.pandas_udf(T.FloatType())
@@ -185,54 +188,64 @@ def agreement(a: pd.Series, b: pd.Series) -> pd.Series:
     return pd.Series((x == y).mean(1).astype(np.float32))
 
 
-def leaders(group: pd.DataFrame, threshold: float) -> pd.DataFrame:
-    """Links of one bucket: the smallest node leads, takes those that agree with it, the smallest of the others leads next, and so on."""
+def linked(group: pd.DataFrame, threshold: float) -> pd.DataFrame:
+    """Links (a, b) of one block, or pair of blocks, of a bucket, enough to connect all members that agree, but for pairs whose members both match the
+    bucket's hub.  Members have node, sig, free (doesn't match the hub) and block."""
     group = group.sort_values("node")
-    node = group["node"].to_numpy()
+    node, free, block = group["node"].to_numpy(), group["free"].to_numpy(), group["block"].to_numpy()
     sig = np.frombuffer(b"".join(group["sig"]), np.uint32).reshape(len(node), -1)
-    out_a, out_b = [], []
-    while len(node) > 1:
-        near = (sig[1:] == sig[0]).mean(1) >= threshold
-        out_b.append(node[1:][near])
-        out_a.append(np.full(near.sum(), node[0]))
-        node, sig = node[1:][~near], sig[1:][~near]
-    return pd.DataFrame({"a": np.concatenate([*out_a, np.zeros(0, np.int64)]), "b": np.concatenate([*out_b, np.zeros(0, np.int64)])})
-
-
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", *, shingle: int = SHINGLE, k: int = K, rows: int = ROWS, threshold: float = THRESHOLD) -> DataFrame:
+    part, two = np.arange(len(node)), block.min() != block.max()
+    a, b = [], []
+    for x in np.flatnonzero(free):
+        # each pair once; those that are connected already need no look
+        other = (part != part[x]) & (~free | (np.arange(len(node)) > x))
+        if two:
+            other &= block != block[x]
+        at = np.flatnonzero(other)
+        at = at[(sig[at] == sig[x]).mean(1) >= threshold]
+        if len(at):
+            a.append(np.full(len(at), node[x]))
+            b.append(node[at])
+            part[np.isin(part, part[at])] = part[x]
+    return pd.DataFrame({"a": np.concatenate([*a, np.zeros(0, np.int64)]), "b": np.concatenate([*b, np.zeros(0, np.int64)])})
+
+
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", *, shingle: int = SHINGLE, k: int = K, rows: int = ROWS, threshold: float = THRESHOLD, block: int = BLOCK) -> DataFrame:
     """(rid, id, copies, group, keep) for every distinct (id, text); group is the id of the row that stays, copies counts equal rows.
 
     1. Signatures; rows with equal signatures become one node (exact copies and re-ordered punctuation end here, however many).
-    2. Bands of `rows` coordinates; in each bucket the smallest node is linked with every other member, so links grow with the nodes, not
-       with the square of a bucket.  A link needs an agreement of `threshold`.  The members that the bucket's first node does not match
-       are led by the next ones in turn, until each is linked or leads, so no partner is ever cut off by a cap.
-    3. Components of the verified links.
+    2. Bands of `rows` coordinates; in each bucket the smallest node, the hub, is compared with every other member.  A link needs an agreement of `threshold`.
+    3. Members that don't match the hub are compared with all other members, those that match it among them, so every pair of a bucket is linked, connected by
+       links, or compared.  A bucket of many members is cut into blocks, and each pair of blocks is a task of its own.
+    4. Components of the links.
     """
-    signed = written(sign(docs, id_col, text_col, shingle, k), "signatures")
-    node = F.xxhash64("sig")
-    nodes = signed.where("sig is not null").groupBy(node.alias("node")).agg(F.first("sig").alias("sig"))
-    nodes = written(nodes, "nodes")
+    signed = written(sign(docs, id_col, text_col, shingle, k).withColumn("mark", F.unhex(F.md5("sig"))), "signatures")
+    # numbered where they are written, so a number is a node and no hash
+    nodes = written(signed.where("sig is not null").groupBy("mark").agg(F.first("sig").alias("sig")).withColumn("node", F.monotonically_increasing_id()), "nodes")
     width = 4 * rows
     bands = F.array(*[F.xxhash64(F.lit(j), F.substring("sig", 1 + j * width, width)) for j in range(k // rows)])
     members = nodes.select("node", F.explode(bands).alias("bucket"))
-    hubs = members.groupBy("bucket").agg(F.min("node").alias("hub"), F.count("*").alias("n")).where("n > 1").select("bucket", "hub")
-    pairs = written(members.join(hubs, "bucket").where("node != hub").select("bucket", "hub", "node"), "pairs")
+    hubs = members.groupBy("bucket").agg(F.min("node").alias("hub"), F.count("*").alias("n")).where("n > 1")
+    pairs = written(members.join(hubs, "bucket").where("node != hub").select("bucket", "hub", "node", (F.col("n") - 1).alias("n")), "pairs")
     distinct = pairs.select("hub", "node").distinct()
     scored = distinct.join(nodes.select(F.col("node").alias("hub"), F.col("sig").alias("sig_a")), "hub").join(nodes.select("node", F.col("sig").alias("sig_b")), "node").select("hub", "node", agreement("sig_a", "sig_b").alias("score"))
     scored = written(scored, "scored")
     good = scored.where(F.col("score") >= threshold).select(F.col("hub").alias("a"), F.col("node").alias("b"))
-    left = pairs.join(scored.where(F.col("score") < threshold).select("hub", "node"), ["hub", "node"], "left_semi").select("bucket", "node")
-    crowd = left.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1").select("bucket")
-    left = left.join(crowd, "bucket").join(nodes, "node").select("bucket", "node", "sig")
-    rest = left.groupBy("bucket").applyInPandas(lambda g: leaders(g, threshold), "a bigint, b bigint")
-    links = good.union(rest.distinct())
-    roots = components(links)
-    placed = signed.withColumn("node", F.when(F.col("sig").isNotNull(), node).otherwise(F.xxhash64(F.lit("alone"), "rid")))
-    placed = placed.groupBy("rid", "node").agg(F.first("id").alias("id"), F.count("*").alias("copies"))
-    placed = placed.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    free = pairs.where("n > 1").join(scored.where(F.col("score") < threshold).select("hub", "node"), ["hub", "node"], "left_semi").select("bucket", "node", F.lit(True).alias("free"))
+    free = written(free, "free")
+    crowd = pairs.where("n > 1").join(free.select("bucket").distinct(), "bucket", "left_semi").join(free, ["bucket", "node"], "left").select("bucket", "node", "n", F.coalesce("free", F.lit(False)).alias("free"))
+    blocks = F.ceil(F.col("n") / block).cast("int")
+    crowd = crowd.withColumn("block", F.pmod(F.xxhash64("node"), blocks).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1)))
+    crowd = crowd.select("bucket", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "node", "free", "block").join(nodes.select("node", "sig"), "node")
+    rest = crowd.groupBy("bucket", "i", "j").applyInPandas(lambda g: linked(g, threshold), "a bigint, b bigint")
+    roots = components(good.union(rest.distinct()))
+    placed = signed.where("sig is not null").groupBy("rid").agg(F.first("mark").alias("mark"), F.first("id").alias("id"), F.count("*").alias("copies"))
+    placed = placed.join(nodes.select("mark", "node"), "mark").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     order = F.struct(F.col("id").isNull().alias("no_id"), F.coalesce("id", F.lit(0)).alias("id"), "rid")
     best = placed.groupBy("root").agg(F.min(order).alias("best"))
-    return placed.join(best, "root").select("rid", "id", "copies", F.when(~F.col("best.no_id"), F.col("best.id")).alias("group"), (F.col("rid") == F.col("best.rid")).alias("keep"))
+    grouped = placed.join(best, "root").select("rid", "id", "copies", F.when(~F.col("best.no_id"), F.col("best.id")).alias("group"), (F.col("rid") == F.col("best.rid")).alias("keep"))
+    alone = signed.where("sig is null").groupBy("rid").agg(F.first("id").alias("id"), F.count("*").alias("copies"))
+    return grouped.union(alone.select("rid", "id", "copies", F.col("id").alias("group"), F.lit(True).alias("keep")))
 
 
 def dedup_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **params) -> DataFrame:
