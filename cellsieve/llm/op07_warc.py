@@ -1,6 +1,6 @@
 """WARC normaliser: one gzip stream around a whole file becomes a member for each record, with a sidecar index of offsets.
 
-The file is read and inflated once, in pieces, and never held whole; only the record at hand is.  Each record is deflated as a member of its own, so that
+The file is read and inflated once, in bounded pieces, and never held whole; only the record at hand is, whose header may have HEAD_LIMIT bytes.  Each record is deflated as a member of its own, so that
 a reader can seek to `offset` and inflate `length` bytes.  The sidecar lists the same as tab-separated text next to the new file.  A file is one
 task; a task writes under a temporary name and renames, so a repeated attempt leaves one whole file.  Paths may be of any file system that
 pyarrow opens.
@@ -12,9 +12,11 @@ status `broken` and no length.  Input that already has several members is accept
 from __future__ import annotations
 
 import hashlib
+import re
 import uuid
 import zlib
 from collections.abc import Iterator
+from itertools import islice
 
 import pyarrow as pa
 from pyarrow import fs
@@ -24,6 +26,10 @@ from pyspark.sql import functions as F
 from .common import work_path
 
 PIECE = 1 << 20
+#: Bytes that a record's header may have; a longer one is broken.
+HEAD_LIMIT = 1 << 20
+#: Index rows in a batch.
+INDEX_ROWS = 10_000
 LEVEL = 6
 HEAD_END = b"\r\n\r\n"
 INDEX = "file string, nth bigint, page_id bigint, url string, offset bigint, length bigint, payload_bytes bigint, payload_md5 string, status string"
@@ -42,36 +48,45 @@ def record(page_id: int | None, url: str | None, html: str | None) -> bytes:
 
 
 class Inflater:
-    """Reads a gzip file of one or many members as one stream."""
+    """Reads a gzip file of one or many members as one stream, in pieces of at most PIECE inflated bytes."""
 
     def __init__(self, source) -> None:
-        self.source, self.z, self.buffer, self.over, self.failed = source, zlib.decompressobj(31), bytearray(), False, False
+        self.source, self.z, self.buffer, self.over, self.failed, self.started = source, zlib.decompressobj(31), bytearray(), False, False, False
+        self.raw = b""
 
     def more(self) -> bool:
-        if self.over:
-            return False
-        raw = self.source.read(PIECE)
-        if not raw:
-            self.over = True
-            self.failed |= not self.z.eof and self.started
-            return False
-        try:
-            while raw:
-                self.started = True
-                self.buffer += self.z.decompress(raw)
-                raw = self.z.unused_data if self.z.eof else b""
-                if raw:
-                    self.z = zlib.decompressobj(31)
-        except zlib.error:
-            self.over = self.failed = True
-        return True
-
-    started = False
-
-    def until(self, mark: bytes) -> bytes | None:
+        """Inflates one piece more; False at the end."""
+        while not self.over:
+            if self.z.eof and self.raw:
+                self.z = zlib.decompressobj(31)
+            if not self.raw:
+                self.raw = self.source.read(PIECE)
+                if not self.raw:
+                    self.over = True
+                    self.failed |= not self.z.eof and self.started
+                    return False
+                if self.z.eof:
+                    continue
+            self.started = True
+            try:
+                got = self.z.decompress(self.raw, PIECE)
+            except zlib.error:
+                self.over = self.failed = True
+                return False
+            self.raw = self.z.unused_data if self.z.eof else self.z.unconsumed_tail
+            if got:
+                self.buffer += got
+                return True
+        return False
+
+    def until(self, mark: bytes, limit: int) -> bytes | None:
+        """All up to the mark; None at the end of the file, or where the mark does not come within the limit."""
         seen = 0
         while (at := self.buffer.find(mark, seen)) < 0:
             seen = max(0, len(self.buffer) - len(mark) + 1)
+            if len(self.buffer) > limit:
+                self.failed = True
+                return None
             if not self.more():
                 return None
         return self.take(at + len(mark))
@@ -80,7 +95,7 @@ class Inflater:
         while len(self.buffer) < n:
             if not self.more():
                 return None
-        out = bytes(self.buffer[:n])
+        out = bytes(memoryview(self.buffer)[:n])
         del self.buffer[:n]
         return out
 
@@ -89,7 +104,7 @@ def records(source) -> Iterator[tuple[dict[str, str], bytes, bytes] | None]:
     """(header fields, header bytes, payload) of each record; None, last, where the file is broken."""
     z = Inflater(source)
     while True:
-        head = z.until(HEAD_END)
+        head = z.until(HEAD_END, HEAD_LIMIT)
         if head is None:
             if z.buffer.strip() or z.failed:
                 yield None
@@ -109,29 +124,27 @@ def member(data: bytes) -> bytes:
     return z.compress(data) + z.flush()
 
 
-def normalise(path: str, target: str) -> list[tuple]:
-    """Rewrites one file as target, and target.idx beside it; gives the rows of INDEX."""
+def normalise(path: str, target: str) -> Iterator[tuple]:
+    """Rewrites one file as target, and target.idx beside it; gives the rows of INDEX as they are written.  The files have their names once all is read."""
     source_fs, source_path = opened(path)
     target_fs, target_path = opened(target)
-    name, temporary, out, at, nth = target_path.rsplit("/", 1)[-1], f"{target_path}.{uuid.uuid4().hex}", [], 0, 0
-    with source_fs.open_input_stream(source_path, compression=None) as source, target_fs.open_output_stream(temporary, compression=None) as sink:
+    name, temporary, at, nth = target_path.rsplit("/", 1)[-1], f"{target_path}.{uuid.uuid4().hex}", 0, 0
+    with source_fs.open_input_stream(source_path, compression=None) as source, target_fs.open_output_stream(temporary, compression=None) as sink, target_fs.open_output_stream(f"{temporary}.idx", compression=None) as index:
         for found in records(source):
             if found is None:
-                out.append((name, nth, None, None, at, None, None, None, "broken"))
-                break
-            fields, head, body = found
-            data = member(head + body + HEAD_END)
-            sink.write(data)
-            page = fields.get("warc-record-id", "").removeprefix("<urn:page:").removesuffix(">")
-            out.append((name, nth, int(page) if page.lstrip("-").isdigit() else None, fields.get("warc-target-uri") or None, at, len(data), len(body), hashlib.md5(body).hexdigest(), "whole"))
-            at += len(data)
-            nth += 1
-    with target_fs.open_output_stream(f"{temporary}.idx", compression=None) as sink:
-        for row in out:
-            sink.write(("\t".join("" if x is None else str(x).replace("\t", " ") for x in row) + "\n").encode())
+                row = (name, nth, None, None, at, None, None, None, "broken")
+            else:
+                fields, head, body = found
+                data = member(head + body + HEAD_END)
+                sink.write(data)
+                page = fields.get("warc-record-id", "").removeprefix("<urn:page:").removesuffix(">")
+                row = (name, nth, int(page) if re.fullmatch(r"-?[0-9]{1,18}", page) else None, fields.get("warc-target-uri") or None, at, len(data), len(body), hashlib.md5(body).hexdigest(), "whole")
+                at += len(data)
+                nth += 1
+            index.write(("\t".join("" if x is None else str(x).replace("\t", " ") for x in row) + "\n").encode())
+            yield row
     target_fs.move(temporary, target_path)
     target_fs.move(f"{temporary}.idx", f"{target_path}.idx")
-    return out
 
 
 def write_monolithic(pages: DataFrame, folder: str, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
@@ -167,7 +180,8 @@ def normalise_files(spark: SparkSession, paths: list[str], folder: str) -> DataF
         for b in batches:
             for path in b.column(0).to_pylist():
                 rows = normalise(path, f"{folder}/{path.rsplit('/', 1)[-1]}")
-                yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(list(zip(*rows)) or [()] * len(schema), schema)], schema=schema)
+                while some := list(islice(rows, INDEX_ROWS)):
+                    yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*some), schema)], schema=schema)
 
     files = spark.createDataFrame([(p,) for p in paths], "path string")
     return files.repartition(max(1, len(paths)), "path").mapInArrow(run, INDEX)
