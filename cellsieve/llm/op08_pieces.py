@@ -15,9 +15,10 @@ U+2581 itself, which decodes as a space; `exact` says whether it did.  Repeated
 
 from __future__ import annotations
 
+import heapq
 import re
 from array import array
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from functools import lru_cache
 
 import ahocorasick
@@ -30,8 +31,11 @@ from .common import chunks
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 MARK = "▁"
-#: Units that a worker remembers; beyond, it forgets all of them and goes on.
+#: Setting that names another model file.
+SETTING = "spark.cellsieve.pieceModel"
+#: Units, and ids of units, that a worker remembers; beyond, it forgets all of them and goes on.
 CACHE = 1_000_000
+CACHE_IDS = 20_000_000
 
 
 class Vocabulary:
@@ -60,20 +64,34 @@ class Vocabulary:
             raise ValueError("a piece holds a space mark after another character; units can't be cut before it")
 
     def merged(self, unit: str) -> tuple[tuple[int, int] | None, list[int]]:
-        """The definition: merge the adjacent pair of the best rank, leftmost first, until none is left.  Used for set-up, runs of marks and tests."""
-        parts = list(unit)
+        """The definition: merge the adjacent pair of the best rank, leftmost first, until none is left.  A heap of pairs over linked parts, so a unit
+        of n characters costs n log n.  Used for set-up, runs of marks and where a stretch doesn't begin with a usable piece."""
+        parts: list[str | None] = list(unit)
+        after, before = list(range(1, len(parts) + 1)), list(range(-1, len(parts) - 1))
+        heap: list[tuple[int, int, str]] = []
+
+        def offer(j: int) -> None:
+            if j >= 0 and after[j] < len(parts):
+                whole = parts[j] + parts[after[j]]
+                i = self.ids.get(whole)
+                if i is not None:
+                    heapq.heappush(heap, (self.rank[i], j, whole))
+
+        for j in range(len(parts)):
+            offer(j)
         last = None
-        while len(parts) > 1:
-            best, where = None, -1
-            for j in range(len(parts) - 1):
-                i = self.ids.get(parts[j] + parts[j + 1])
-                if i is not None and (best is None or self.rank[i] < best):
-                    best, where = self.rank[i], j
-            if where < 0:
-                break
-            last = (self.ids[parts[where]], self.ids[parts[where + 1]]) if parts[where] in self.ids and parts[where + 1] in self.ids else None
-            parts[where : where + 2] = [parts[where] + parts[where + 1]]
-        return last, [self.ids.get(p, -1) for p in parts]
+        while heap:
+            _, j, whole = heapq.heappop(heap)
+            k = after[j]
+            if parts[j] is None or k >= len(parts) or parts[j] + parts[k] != whole:
+                continue
+            last = (self.ids[parts[j]], self.ids[parts[k]]) if parts[j] in self.ids and parts[k] in self.ids else None
+            parts[j], parts[k], after[j] = whole, None, after[k]
+            if after[k] < len(parts):
+                before[after[k]] = j
+            offer(j)
+            offer(before[j])
+        return last, [self.ids.get(p, -1) for p in parts if p is not None]
 
 
 @lru_cache(4)
@@ -215,21 +233,26 @@ class Encoder:
             for u in set(units):
                 if u not in self.index:
                     if len(u) > 2 and u[-2] in self.endings.get(u[-1], ""):
-                        stem, ending = self.codes([u[:-1], u[-1]])
-                        self.index[u] = len(self.starts) - 1
-                        self.flat.extend(self.flat[self.starts[stem] : self.starts[stem + 1]] + self.flat[self.starts[ending] : self.starts[ending + 1]])
-                        self.starts.append(len(self.flat))
-                        self.arrays = None
-                        continue
-                    self.index[u] = len(self.starts) - 1
-                    self.flat.extend(self.encode_unit(u))
-                    self.starts.append(len(self.flat))
-                    self.arrays = None
+                        stem, ending = self.remembered(u[:-1]), self.remembered(u[-1])
+                        self.remember(u, self.flat[self.starts[stem] : self.starts[stem + 1]] + self.flat[self.starts[ending] : self.starts[ending + 1]])
+                    else:
+                        self.remembered(u)
             return [self.index[u] for u in units]
 
+    def remember(self, unit: str, ids: Iterable[int]) -> int:
+        self.index[unit] = len(self.starts) - 1
+        self.flat.extend(ids)
+        self.starts.append(len(self.flat))
+        self.arrays = None
+        return self.index[unit]
+
+    def remembered(self, unit: str) -> int:
+        at = self.index.get(unit)
+        return self.remember(unit, self.encode_unit(unit)) if at is None else at
+
     def encode(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all texts, one after the other, and how many each has."""
-        if len(self.index) > CACHE:
+        if len(self.index) > CACHE or len(self.flat) > CACHE_IDS:
             self.reset()
         codes, n_units = [], np.zeros(len(texts), np.int64)
         for k, t in enumerate(texts):
@@ -262,8 +285,10 @@ def encoder(v: Vocabulary, model: str) -> Encoder:
     return _encoders[model]
 
 
-def encode(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", model: str = MODEL) -> DataFrame:
-    """(doc_id, ids, n_ids, exact): the piece ids, their number, and whether decoding them gives the text again."""
+def encode(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", model: str | None = None) -> DataFrame:
+    """(doc_id, ids, n_ids, exact): the piece ids, their number, and whether decoding them gives the text again.  The model is a path, or that of
+    the session's SETTING, or MODEL; only the driver reads it."""
+    model = model or docs.sparkSession.conf.get(SETTING, MODEL)
     v = docs.sparkSession.sparkContext.broadcast(vocabulary(model))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -284,8 +309,9 @@ def encode(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", mode
     return src.mapInArrow(run, "doc_id bigint, ids array<int>, n_ids int, exact boolean")
 
 
-def decode(encoded: DataFrame, id_col: str = "doc_id", ids_col: str = "ids", model: str = MODEL) -> DataFrame:
+def decode(encoded: DataFrame, id_col: str = "doc_id", ids_col: str = "ids", model: str | None = None) -> DataFrame:
     """(doc_id, text) from ids; null ids give null; ids outside the vocabulary raise an error."""
+    model = model or encoded.sparkSession.conf.get(SETTING, MODEL)
     v = encoded.sparkSession.sparkContext.broadcast(vocabulary(model))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
