@@ -1,14 +1,15 @@
 """Quality rules as a short-circuit cascade.
 
 Every rule is a SQL condition that holds for a bad text.  A text is rejected when any rule holds, so the order of the
-rules cannot change the result, only its cost.  The order is chosen on a sample: each rule's seconds and share of rejections are measured,
-and rules go by rejections per second, falling.  The chosen order becomes one CASE expression, whose branches Spark evaluates
-only until the first that holds; it stays inside generated code, with no Python and no shuffle.
+rules cannot change the result, only its cost.  The order is chosen on a sample of the whole table: each rule's seconds, less those of a job without a rule, and the
+sample's texts that it rejects are measured; the rule with the most rejections per second goes first, then the one with the most of what is left, and so on.  The
+chosen order becomes one CASE expression, whose branches Spark evaluates only until the first that holds, with no Python and no shuffle.
+
+Most rules count characters that prose hardly holds.  One pass over the text drops what no rule counts; the rules then count in the few characters that are left.
 
 Definitions for odd input.  A null text, an empty one and one without any letter or digit are rejected by rule `no_words`.  A text of one good
 word is kept: no rule asks for a length.  A word is a run of characters without white space (any white space ends it); of scripts that put no space
-between words every character counts as one.  judged_sql() still counts a text's ASCII spaces plus one, and so differs on texts with other
-white space, repeated spaces or such scripts.  Null ids are judged like any other row; repeated rows are judged alike.
+between words every character counts as one.  Null ids are judged like any other row; repeated rows are judged alike.
 """
 
 from __future__ import annotations
@@ -19,24 +20,30 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-#: Rows on which costs and selectivities are measured; they decide the order of the rules only.
+from .common import written
+
+#: Rows, about, on which costs and rejections are measured; they decide the order of the rules only.
 SAMPLE_ROWS = 1_000
-SAMPLE_SHARE = 0.02
 SAMPLE_SEED = 11
+REPEATS = 2
 
 
 @dataclass(frozen=True)
 class Rule:
-    """condition: SQL over {t}, a non-null text, for Spark; duck: the same for DuckDB, where it differs."""
+    """condition: SQL for Spark over {t}, a non-null text, and {m}, the text without DROPPED; duck: the same for DuckDB, where it differs."""
 
     name: str
     condition: str
     duck: str = ""
 
 
+#: What no rule counts by itself: a class for the pattern that drops it.
+DROPPED = r"a-z\s.,;:?'()\x22éèêëàâäùûüôöîïçñáíóúß-"
+
+
 def among(chars: str) -> str:
-    """SQL for the number of characters of {t} that are among chars."""
-    return f"(length({{t}}) - length(translate({{t}}, '{chars}', '')))"
+    """SQL for the number of characters of the text that are among chars, none of which is in DROPPED."""
+    return f"(length({{m}}) - length(translate({{m}}, '{chars}', '')))"
 
 
 #: White space, the zero-width space among it; characters of scripts that put no space between words (Thai, Lao, Myanmar, Khmer, kana, Han of the basic plane).
@@ -56,15 +63,18 @@ def occurrences(pattern: str) -> str:
 OTHER = r"[\x{1c}-\x{1f}\x{85}\x{a0}\x{0e00}-\x{ffff}]"
 
 
-def quick(pattern: str, plain: str) -> str:
-    return f"(CASE WHEN {occurrences(OTHER).replace('regexp_count', 'regexp_like')} THEN {occurrences(pattern)} ELSE {occurrences(plain)} END)"
-
-
-WORDS = quick(WORD, r"\S++")
-ECHOES = quick(ECHO, r"(?<!\S)(\S++)(?=\s++\1(?!\S))")
-DUCK_WORDS = "(1 + length({t}) - length(replace({t}, ' ', '')))"
+UNUSUAL = occurrences(OTHER).replace("regexp_count", "regexp_like")
+WORDS = f"(CASE WHEN {UNUSUAL} THEN {occurrences(WORD)} ELSE {occurrences('[^ ]++').replace('[^ ]', chr(92) * 2 + 'S')} END)"
+#: Both counts of a text of usual characters in one walk over its words.
+PLAIN_ECHOES = (
+    r"aggregate(split({t}, '\\s+'), struct('' AS last, 0 AS echoes, 0 AS words), "
+    "(s, x) -> struct(x AS last, s.echoes + int(x = s.last AND x <> '') AS echoes, s.words + int(x <> '') AS words), s -> s.words >= 8 AND s.echoes * 5 > s.words)"
+)
+#: The same words by RE2, which knows no possessive runs and needs none here; \\v is white space here and not there.
+DUCK_LIST = "regexp_extract_all({t}, '" + f"[{JOINED}]|[^{BLANK}{JOINED}]+".replace(r"\s", r"\s\x{0b}").replace("{", "{{").replace("}", "}}") + "')"
+DUCK_WORDS = f"len({DUCK_LIST})"
 CAPITALS = among("ABCDEFGHIJKLMNOPQRSTUVWXYZÀÁÂÄÇÈÉÊÍÑÓÔÖÚÜ")
-DUCK_SPLIT = "string_split(replace({t}, chr(10), ' '), ' ')"
+DUCK_ECHOES = f"len(list_filter(list_zip({DUCK_LIST}, {DUCK_LIST}[2:]), lambda x: coalesce(x[1] = x[2], false)))"
 DOTS = "(length({t}) - length(replace({t}, '...', '')))"
 
 
@@ -84,48 +94,61 @@ RULES = (
     Rule("capitals", f"{CAPITALS} * 10 > length({{t}}) * 5 AND length({{t}}) >= 40"),
     Rule("digits", f"{among('0123456789')} * 10 > length({{t}}) * 5 AND length({{t}}) >= 40"),
     Rule("ellipses", f"{DOTS} >= 12 AND {DOTS} * 2 > {WORDS} * 3", f"{DOTS} * 2 > {DUCK_WORDS} * 3 AND {DOTS[1:-1]} >= 12"),
-    # a word that follows itself; CASE, since Spark would count the words of all texts for AND
-    Rule(
-        "echoes",
-        f"CASE WHEN {ECHOES} >= 2 THEN {WORDS} >= 8 AND {ECHOES} * 5 > {WORDS} ELSE false END",
-        f"{DUCK_WORDS} >= 8 AND len(list_filter(list_zip({DUCK_SPLIT}, {DUCK_SPLIT}[2:]), lambda x: coalesce(x[1] = x[2] AND x[1] <> '', false))) * 5 > {DUCK_WORDS}",
-    ),
+    # a word that follows itself: more than a fifth of at least 8 words
+    Rule("echoes", f"CASE WHEN {UNUSUAL} THEN {occurrences(WORD)} >= 8 AND {occurrences(ECHO)} * 5 > {occurrences(WORD)} ELSE {PLAIN_ECHOES} END", f"{DUCK_WORDS} >= 8 AND {DUCK_ECHOES} * 5 > {DUCK_WORDS}"),
 )
 
 
 def condition(rule: Rule, text: str = "text", duck: bool = False) -> str:
-    """The rule over a column; a null text holds for no_words alone."""
-    quoted = f'"{text}"' if duck else f"`{text}`"
-    return f"coalesce({(rule.duck if duck and rule.duck else rule.condition).format(t=quoted)}, {str(rule.name == 'no_words').lower()})"
-
-
-def measured(docs: DataFrame, text_col: str = "text", rules: tuple[Rule, ...] = RULES, rows: int = SAMPLE_ROWS) -> list[tuple[Rule, float, float]]:
-    """(rule, seconds a row, share of rejections) on a sample of at most `rows` rows."""
-    spark = docs.sparkSession
-    sample = docs.select(F.col(text_col).cast("string").alias("text")).sample(SAMPLE_SHARE, SAMPLE_SEED).limit(rows).toPandas()
-    if len(sample) < 50:
-        sample = docs.select(F.col(text_col).cast("string").alias("text")).limit(rows).toPandas()
-    if not len(sample):
-        return [(r, 1.0, 0.0) for r in rules]
-    held = spark.createDataFrame(sample, "text string").coalesce(1)
-    out = []
-    for r in rules:
-        seconds = []
-        for _ in range(2):
+    """The rule over a column, for Spark with MARKS beside it; a null text holds for no_words alone."""
+    t, m = (f'"{text}"',) * 2 if duck else (f"`{text}`", f"`{MARKS}`")
+    return f"coalesce({(rule.duck if duck and rule.duck else rule.condition).format(t=t, m=m)}, {str(rule.name == 'no_words').lower()})"
+
+
+MARKS = "__cellsieve_marks"
+
+
+def with_marks(docs: DataFrame, text_col: str = "text") -> DataFrame:
+    """docs with MARKS, the text without DROPPED.  A generator makes it, so that Catalyst can't put its expression into each of the rules."""
+    return docs.select("*", F.explode(F.array(F.regexp_replace(F.col(text_col).cast("string"), f"[{DROPPED}]++", ""))).alias(MARKS))
+
+
+def measured(docs: DataFrame, text_col: str = "text", rules: tuple[Rule, ...] = RULES, rows: int = SAMPLE_ROWS) -> tuple[dict[Rule, float], list[tuple[bool, ...]]]:
+    """(seconds a row of each rule, for each sampled row which rules hold) on about `rows` rows of the whole table."""
+    texts = docs.select(F.col(text_col).cast("string").alias("text"))
+    n = docs.count()
+    if not n:
+        return dict.fromkeys(rules, 1.0), []
+    share = 1.25 * rows / n
+    sample = with_marks(written((texts.sample(share, SAMPLE_SEED) if share < 1 else texts).repartition(1), "quality-sample"))
+    hits = [tuple(r) for r in sample.select(*[F.expr(condition(r)) for r in rules]).collect()]
+
+    def seconds(condition_: str) -> float:
+        best = float("inf")
+        for _ in range(REPEATS):
             began = time.perf_counter()
-            hit = held.agg(F.avg(F.expr(condition(r)).cast("int"))).first()[0]
-            seconds.append(time.perf_counter() - began)
-        out.append((r, min(seconds) / len(sample), float(hit or 0.0)))
-    return out
+            sample.select(F.expr(condition_)).write.format("noop").mode("overwrite").save()
+            best = min(best, time.perf_counter() - began)
+        return best
+
+    base = seconds(f"length({MARKS}) < 0")
+    return {r: max(seconds(condition(r)) - base, 1e-5) / max(1, len(hits)) for r in rules}, hits
 
 
-def ordered(costs: list[tuple[Rule, float, float]]) -> tuple[Rule, ...]:
-    """Rules by rejection per cost, the best first; ties and rules that reject nothing: the cheaper first, then by name."""
-    return tuple(r for r, s, p in sorted(costs, key=lambda x: (-x[2] / max(x[1], 1e-12), x[1], x[0].name)))
+def ordered(costs: dict[Rule, float], hits: list[tuple[bool, ...]], rules: tuple[Rule, ...] = RULES) -> tuple[Rule, ...]:
+    """Rules by rejection per cost among the sampled rows that the rules before them keep; those that reject nothing more come last, the cheaper first, then by name."""
+    out: list[Rule] = []
+    left = list(range(len(rules)))
+    while left:
+        best = min(left, key=lambda k: (-sum(h[k] for h in hits) / costs[rules[k]], costs[rules[k]], rules[k].name))
+        out.append(rules[best])
+        left.remove(best)
+        hits = [h for h in hits if not h[best]]
+    return tuple(out)
 
 
 def cascade(rules: tuple[Rule, ...], text_col: str = "text") -> Column:
-    """True where any rule holds; later rules are not evaluated once one holds."""
+    """True where any rule holds, over rows with MARKS; later rules are not evaluated once one holds."""
     out = F.when(F.expr(condition(rules[0], text_col)), True)
     for r in rules[1:]:
         out = out.when(F.expr(condition(r, text_col)), True)
@@ -134,9 +157,9 @@ def cascade(rules: tuple[Rule, ...], text_col: str = "text") -> Column:
 
 def judged(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rules: tuple[Rule, ...] = RULES) -> DataFrame:
     """(doc_id, keep, failed): failed names, in alphabetical order, all rules that hold, joined by commas; it is computed for rejected rows alone."""
-    bad = cascade(ordered(measured(docs, text_col, rules)), text_col)
+    bad = cascade(ordered(*measured(docs, text_col, rules), rules))
     names = F.concat_ws(",", *[F.when(F.expr(condition(r, "text")), F.lit(r.name)) for r in sorted(rules, key=lambda r: r.name)])
-    src = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).cast("string").alias("text"), bad.alias("bad"))
+    src = with_marks(docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).cast("string").alias("text"))).withColumn("bad", bad)
     return src.select("doc_id", (~F.col("bad")).alias("keep"), F.when(F.col("bad"), names).otherwise("").alias("failed"))
 
 
@@ -148,4 +171,4 @@ def judged_sql(rules: tuple[Rule, ...] = RULES) -> str:
 
 def filter_documents(docs: DataFrame, text_col: str = "text", rules: tuple[Rule, ...] = RULES) -> DataFrame:
     """The rows of docs that no rule rejects, all columns as they were."""
-    return docs.where(~cascade(ordered(measured(docs, text_col, rules)), text_col))
+    return with_marks(docs, text_col).where(~cascade(ordered(*measured(docs, text_col, rules), rules), text_col)).drop(MARKS)
