@@ -1,7 +1,7 @@
 """Mixing sources to target weights by systematic sampling.
 
 A source of weight w shall make up w / (sum of weights) of the mixed characters.  Each of its documents is therefore expected
-(w * all) / (sum of weights * source) times, in millionths of a copy.  Within a source documents stand in the order of a seeded hash; one random offset is added to the running sum
+(w * all) / (sum of weights * source) times; the fraction is kept as two whole numbers, so no rounding adds up over the documents.  Within a source documents stand in the order of a seeded hash; one random offset is added to the running sum
 of expected copies, and a document is emitted once for each integer that its stretch of the sum crosses, so every source gets its expected
 number of copies to within one, and a document its own rounded up or down.
 
@@ -22,6 +22,7 @@ from pyspark.sql import functions as F
 WEIGHTS = {"src0": 4}
 SEED = 17
 UNIT = 1_000_000
+WHOLE = "decimal(30,0)"
 
 
 def offset(seed: int = SEED) -> int:
@@ -42,16 +43,19 @@ def with_copies(docs: DataFrame, weights: dict[str, int], seed: int, id_col: str
     keyed = docs.withColumns({"__cs_key": source, "__cs_hash": hashed, "__cs_range": F.substring(hashed, 1, 3)})
     sums = docs.select(source.alias("__cs_key"), size.alias("size"), F.substring(hashed, 1, 3).alias("__cs_range")).groupBy("__cs_key", "__cs_range").agg(F.count("*").alias("n"), F.sum("size").alias("size"))
     per = sums.groupBy("__cs_key").agg(F.sum("size").alias("size")).withColumn("__cs_source", F.when(F.col("__cs_key").startswith("="), F.expr("substring(__cs_key, 2)"))).withColumn("w", weight)
-    total = per.agg(F.sum("size").alias("all_size"), F.sum("w").alias("all_w"))
-    rate = F.when(F.col("w") == 0, F.lit(0)).when(F.col("size") == 0, F.lit(UNIT)).otherwise(F.floor(F.lit(float(UNIT)) * (F.col("w").cast("double") * F.col("all_size").cast("double")) / (F.col("all_w").cast("double") * F.col("size").cast("double")))).cast("bigint")
-    rates = per.crossJoin(total).select("__cs_key", rate.alias("__cs_rate"))
+    total = per.agg(F.sum("size").cast("decimal(20,0)").alias("all_size"), F.sum("w").alias("all_w"))
+    # expected copies of a document, times UNIT: up / down
+    up = F.when(F.col("size") == 0, F.lit(UNIT)).otherwise(F.expr(f"{UNIT} * w * all_size")).cast(WHOLE)
+    down = F.when(F.col("size") == 0, F.lit(1)).otherwise(F.expr("all_w * size")).cast(WHOLE)
+    rates = per.crossJoin(total).select("__cs_key", F.when(F.col("w") == 0, F.lit(0)).otherwise(up).cast(WHOLE).alias("__cs_up"), down.alias("__cs_down"))
     before = F.coalesce(F.sum("n").over(Window.partitionBy("__cs_key").orderBy("__cs_range").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    bases = sums.join(rates, "__cs_key").select("__cs_key", "__cs_range", "__cs_rate", (before * F.col("__cs_rate")).cast("bigint").alias("__cs_base"))
+    bases = sums.join(rates, "__cs_key").select("__cs_key", "__cs_range", "__cs_up", "__cs_down", before.cast("bigint").alias("__cs_base"))
     order = Window.partitionBy("__cs_key", "__cs_range").orderBy("__cs_hash", F.col(id_col).asc_nulls_first(), F.md5(F.coalesce(text, F.lit(""))))
     placed = keyed.withColumn("__cs_nth", F.row_number().over(order)).join(bases, ["__cs_key", "__cs_range"])
-    start = F.col("__cs_base") + (F.col("__cs_nth") - 1) * F.col("__cs_rate") + F.lit(offset(seed))
-    crossed = F.expr(f"(__cs_start + __cs_rate) div {UNIT} - __cs_start div {UNIT}")
-    return placed.withColumn("__cs_start", start).withColumn("__cs_copies", crossed.cast("int"))
+    def crossed(k: str) -> str:  # whole numbers up to the end of document k of the source
+        return f"(CAST({k} AS DECIMAL(18,0)) * __cs_up + {offset(seed)} * __cs_down) div (__cs_down * {UNIT})"
+
+    return placed.withColumn("__cs_copies", F.expr(f"{crossed('(__cs_base + __cs_nth)')} - {crossed('(__cs_base + __cs_nth - 1)')}").cast("int"))
 
 
 def mixed(docs: DataFrame, weights: dict[str, int] | None = None, seed: int = SEED, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
@@ -74,8 +78,7 @@ WITH d AS (SELECT doc_id, source, coalesce('=' || source, 'null') AS key, coales
                   md5('{seed}:' || coalesce(CAST(doc_id AS VARCHAR), 'null')) AS h, md5(coalesce(text, '')) AS th FROM documents),
 per AS (SELECT key, sum(size) AS size, {weight} AS w FROM d GROUP BY key),
 total AS (SELECT sum(size) AS all_size, sum(w) AS all_w FROM per),
-rates AS (SELECT key, CAST(CASE WHEN w = 0 THEN 0 WHEN size = 0 THEN {UNIT} ELSE
-          floor(CAST({UNIT} AS DOUBLE) * (CAST(w AS DOUBLE) * CAST(all_size AS DOUBLE)) / (CAST(all_w AS DOUBLE) * CAST(size AS DOUBLE))) END AS BIGINT) AS rate FROM per, total),
-n AS (SELECT d.*, rate, {offset(seed)} + (row_number() OVER (PARTITION BY d.key ORDER BY h, doc_id NULLS FIRST, th) - 1) * rate AS start FROM d JOIN rates USING (key)),
-c AS (SELECT doc_id, source, (start + rate) // {UNIT} - start // {UNIT} AS copies FROM n)
+rates AS (SELECT key, CASE WHEN w = 0 THEN 0::HUGEINT WHEN size = 0 THEN {UNIT}::HUGEINT ELSE {UNIT}::HUGEINT * w * all_size END AS up, CASE WHEN size = 0 THEN 1::HUGEINT ELSE all_w::HUGEINT * size END AS down FROM per, total),
+n AS (SELECT d.*, up, down, row_number() OVER (PARTITION BY d.key ORDER BY h, doc_id NULLS FIRST, th) AS k FROM d JOIN rates USING (key)),
+c AS (SELECT doc_id, source, CAST((k * up + {offset(seed)} * down) // (down * {UNIT}) - ((k - 1) * up + {offset(seed)} * down) // (down * {UNIT}) AS BIGINT) AS copies FROM n)
 SELECT doc_id, source, CAST(unnest(generate_series(1, copies)) AS INTEGER) AS copy FROM c WHERE copies > 0"""

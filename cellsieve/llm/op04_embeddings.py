@@ -106,7 +106,7 @@ def near_pairs(df: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding"
                     width = code.shape[1]
                     yield pa.RecordBatch.from_arrays([pa.array(code.ravel().view(np.int64)), pa.array(np.repeat(part.column("rid").to_numpy(), width))], ["bucket", "rid"])
 
-    rows = written(clean(df, id_col, vec_col).groupBy("id", "v").count().select(F.xxhash64("id", "v").alias("rid"), "id", "v"), "vectors")
+    rows = written(clean(df, id_col, vec_col).groupBy("id", "v").count().select(F.monotonically_increasing_id().alias("rid"), "id", "v"), "vectors")
     members = written(rows.select("rid", "v").mapInArrow(run, "bucket bigint, rid bigint"), "buckets")
     crowd = members.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1").select("bucket")
     members = members.join(crowd, "bucket")
@@ -117,8 +117,8 @@ def near_pairs(df: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding"
     return scored.where(F.col("cosine") >= threshold).groupBy("id_a", "id_b").agg(F.round(F.max("cosine"), 6).alias("cosine"))
 
 
-def near_pairs_sql(threshold: float = THRESHOLD) -> str:
+def near_pairs_sql(threshold: float = THRESHOLD, table: str = "embeddings") -> str:
     return f"""
-WITH v AS (SELECT DISTINCT vec_id, CAST(embedding AS DOUBLE[]) AS e FROM embeddings WHERE vec_id IS NOT NULL AND len(embedding) > 0)
+WITH v AS (SELECT DISTINCT vec_id, CAST(embedding AS DOUBLE[]) AS e FROM {table} WHERE vec_id IS NOT NULL AND len(embedding) > 0)
 SELECT a.vec_id AS id_a, b.vec_id AS id_b, round(max(list_cosine_similarity(a.e, b.e)), 6) AS cosine FROM v a JOIN v b ON a.vec_id < b.vec_id AND len(a.e) = len(b.e)
 WHERE list_cosine_similarity(a.e, b.e) >= {threshold} GROUP BY 1, 2"""

@@ -62,10 +62,12 @@ def assign(df: DataFrame, key_col: str = "doc_id", shards: int = SHARDS, appende
     return df.select(F.col(key_col), shard_of(key, shards).alias("shard"), shard_of(key, shards + appended).alias("shard_after"))
 
 
-def write_shards(df: DataFrame, path: str, key_col: str = "doc_id", shards: int = SHARDS) -> None:
-    """df as Parquet under path, one folder a shard; a shuffle by shard gives each shard to one task."""
-    name = "__cellsieve_shard"
-    df.withColumn(name, shard_of(numeric_key(df, key_col), shards)).repartition(name).write.partitionBy(name).parquet(path)
+def write_shards(df: DataFrame, path: str, key_col: str = "doc_id", shards: int = SHARDS, parts: int = 1) -> None:
+    """df as Parquet under path, one folder a shard; a shuffle by shard and by a hash of the key gives each shard to `parts` tasks, so that a large shard is
+    no single task's work."""
+    name, part = "__cellsieve_shard", "__cellsieve_part"
+    keyed = df.withColumn(name, shard_of(numeric_key(df, key_col), shards)).withColumn(part, F.pmod(F.xxhash64(F.lit("part"), F.col(key_col)), F.lit(parts)))
+    keyed.repartition(shards * parts, name, part).drop(part).write.partitionBy(name).parquet(path)
 
 
 def assigned_sql(shards: int = SHARDS, appended: int = APPENDED, table: str = "documents", key: str = "doc_id") -> str:

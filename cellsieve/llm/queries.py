@@ -26,6 +26,15 @@ def op4_embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:
     return op04_embeddings.near_pairs(table(spark, sf_dir, "embeddings"))
 
 
+def embeddings_with_copies(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same operator where near copies are sure to exist: each vector beside itself with the sign of one coordinate turned."""
+    from pyspark.sql import functions as F
+
+    e = table(spark, sf_dir, "embeddings").select(F.col("vec_id").cast("bigint").alias("vec_id"), "embedding")
+    copies = e.select((F.col("vec_id") + 100_000_000).alias("vec_id"), F.transform("embedding", lambda x, i: F.when(i == 0, -x).otherwise(x)).alias("embedding"))
+    return op04_embeddings.near_pairs(e.union(copies))
+
+
 def op5_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(doc_id, group_id, keep): every document with the document that stands for its group."""
     return op05_minhash.near_duplicates(table(spark, sf_dir, "documents")).selectExpr("id AS doc_id", "`group` AS group_id", "copies", "keep")
@@ -58,6 +67,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op2_mixing": op2_mixing,
         "op3_licences": op3_licences,
         "op4_embeddings": op4_embeddings,
+        "embeddings_with_copies": embeddings_with_copies,
         "op5_minhash": op5_minhash,
         "op6_pii": op6_pii,
         "op7_warc": op7_warc,
@@ -71,6 +81,7 @@ def oracle_sql() -> dict[str, str]:
     return {
         "op2_mixing": op02_mixing.mixed_sql(),
         "op4_embeddings": op04_embeddings.near_pairs_sql(),
+        "embeddings_with_copies": op04_embeddings.near_pairs_sql(table="(SELECT vec_id, embedding FROM embeddings UNION ALL SELECT vec_id + 100000000, list_transform(embedding, lambda x, i: CASE WHEN i = 1 THEN -x ELSE x END) FROM embeddings)"),
         "op9_sharding": op09_sharding.assigned_sql(),
         "op10_quality_rules": op10_quality.judged_sql(),
     }
