@@ -30,6 +30,15 @@ def unit_sql(draw_: str) -> str:
     return f"((CAST({draw_} AS DOUBLE) + 0.5) / 4503599627370496.0)"
 
 
+def share_of(draw_: Column, total: Column) -> Column:
+    """A draw scaled to 0 .. total - 1: equally likely to 2**-52 of the total, however large it is."""
+    return F.call_function("div", draw_.cast("decimal(16,0)") * total.cast("decimal(21,0)"), F.lit(1 << 52).cast("decimal(16,0)"))
+
+
+def share_sql(draw_: str, total: str) -> str:
+    return f"CAST(CAST({draw_} AS HUGEINT) * {total} // 4503599627370496 AS BIGINT)"
+
+
 def trailing_zeros(v: Column) -> Column:
     """Number of low bits that are 0; v is a bigint with 52 bits at most, of 0 it is 52."""
     low = v.bitwiseAND(-v)

@@ -14,19 +14,21 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..functions.hashing import draw, two_to
+from ..functions.hashing import draw, share_of, two_to
+from ..functions.lineage import cut
 from ..spec import Data, MiningTask
 from .cells import SAMPLE_SEED, weighted
+from .oracles import Search
 
 
 def weighted_draw(rows: DataFrame, key: str, weight: str, draws: DataFrame, uniform: Column) -> DataFrame:
-    """draws joined with the row whose stretch of the running weights holds uniform modulo all weight."""
+    """draws joined with the row whose stretch of the running weights holds the draw's share of all weight."""
     keyed = rows.withColumn("h", F.md5(F.col(key).cast("string"))).withColumn("part", F.substring("h", 1, 3))
     local = keyed.withColumn("stop", F.sum(weight).over(Window.partitionBy("part").orderBy("h", key).rowsBetween(Window.unboundedPreceding, 0)))
     parts = keyed.groupBy("part").agg(F.sum(weight).alias("part_weight"))
     parts = parts.withColumn("part_stop", F.sum("part_weight").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, 0)))  # 4096 rows at most
     total = parts.agg(F.max("part_stop").alias("total"))
-    at = draws.crossJoin(F.broadcast(total)).withColumn("r", F.pmod(uniform, F.col("total")))
+    at = draws.crossJoin(F.broadcast(total)).withColumn("r", share_of(uniform, F.col("total")))
     placed = at.join(F.broadcast(parts), (F.col("r") >= F.col("part_stop") - F.col("part_weight")) & (F.col("r") < F.col("part_stop")))
     placed = placed.withColumn("r", F.col("r") - (F.col("part_stop") - F.col("part_weight"))).drop("part_stop", "part_weight", "total")
     return placed.join(local.drop("h"), "part").where((F.col("r") >= F.col("stop") - F.col(weight)) & (F.col("r") < F.col("stop"))).drop("part", "r", "stop")
@@ -52,13 +54,16 @@ def two_step_candidates(tx: DataFrame, n: int, power: int = 1, seed: int = SAMPL
 
     power 1: a transaction by multiplicity * (2^length - 1), then one of its non-empty subsets.  power 4: four transactions, the first by
     multiplicity * 2^length, the others by multiplicity, kept with probability 2^(common - first), then a subset of what they share; its law is the fourth power of the
-    frequency.  Transactions may have 40 items at most, so that the weights stay exact; cut them to frequent items first."""
+    frequency.  Up to 40 items weights are exact; with longer transactions they are counted in units of 2^(longest - 40), so that a transaction
+    whose share is below about 2^-40 of the longest one's is never drawn, and each item of the subset has a coin of its own."""
     spark = tx.sparkSession
     rows = tx.groupBy("items").agg(F.count("*").alias("mult")).withColumn("t", F.array_join("items", ","))
-    rows = rows.withColumn("mult", F.when(F.size("items") > 40, F.raise_error(F.lit("a transaction has more than 40 items"))).otherwise(F.col("mult")))
-    every = two_to(F.size("items"))
+    longest = rows.agg(F.max(F.size("items"))).first()[0] or 0
     cand = ids(spark, n, "candidate")
     key = lambda what: draw(F.lit(seed), F.lit(what), F.col("candidate"))
+    if longest > 40:
+        return long_candidates(rows, longest, cand, key, power)
+    every = two_to(F.size("items"))
     if power == 1:
         got = weighted_draw(rows.withColumn("w", F.col("mult") * (every - 1)).where("w > 0"), "t", "w", cand, key("tx"))
         got = got.withColumn("bits", F.pmod(key("subset"), two_to(F.size("items")) - 1) + 1)
@@ -74,6 +79,32 @@ def two_step_candidates(tx: DataFrame, n: int, power: int = 1, seed: int = SAMPL
     return got.select("candidate", F.when(F.col("kept") & (F.col("bits") > 0), F.array_join(picked("common", F.col("bits")), ",")).alias("pattern"))
 
 
+def long_candidates(rows: DataFrame, longest: int, cand: DataFrame, key, power: int) -> DataFrame:
+    scaled = rows.withColumn("w", F.floor(F.col("mult") * F.pow(F.lit(2.0), F.size("items") - longest + 40)).cast("bigint")).where("w > 0")
+    got = weighted_draw(scaled, "t", "w", cand, key("tx1")).select("candidate", F.col("items").alias("common"))
+    first = F.size("common")
+    got = got.withColumn("first", first)
+    for k in range(2, power + 1):
+        nxt = weighted_draw(rows, "t", "mult", cand, key(f"tx{k}")).select("candidate", F.col("items").alias("next"))
+        got = got.join(nxt, "candidate").withColumn("common", F.array_sort(F.array_intersect("common", "next"))).drop("next")
+    coin = lambda what, i: F.conv(F.substring(F.md5(F.concat_ws(":", F.lit(what), F.col("candidate").cast("string"), i)), 1, 1), 16, 10).cast("int") % 2 == 0
+    kept = F.forall(F.sequence(F.lit(1), F.col("first") - F.size("common")), lambda i: coin("keep", i.cast("string"))) if power > 1 else F.lit(True)
+    kept = F.when(F.col("first") == F.size("common"), F.lit(True)).otherwise(kept)
+    subset = F.filter("common", lambda x: coin("subset", x))
+    return got.select("candidate", F.when(kept & (F.size(subset) > 0), F.array_join(subset, ",")).alias("pattern"))
+
+
+def two_step_until(tx: DataFrame, patterns: DataFrame, n: int, max_candidates: int, power: int = 1, batch: int = 100_000, seed: int = SAMPLE_SEED) -> tuple[DataFrame | None, int, int]:
+    """(accepted samples, how many, candidates tried): candidates in batches until n are accepted or max_candidates are tried."""
+    found, tried, kept = None, 0, 0
+    while kept < n and tried < max_candidates:
+        size = min(batch, max_candidates - tried)
+        got = cut(two_step_sample(tx, patterns, size, power, seed * 1_000 + tried // batch).where("accepted").select((F.col("candidate") + tried).alias("candidate"), "pattern"))
+        tried, kept = tried + size, kept + got.count()
+        found = got if found is None else found.union(got)
+    return found, kept, tried
+
+
 def two_step_sample(tx: DataFrame, patterns: DataFrame, n: int, power: int = 1, seed: int = SAMPLE_SEED) -> DataFrame:
     """(candidate, pattern, accepted): candidates that are among the valid patterns are accepted."""
     c = two_step_candidates(tx, n, power, seed)
@@ -90,6 +121,12 @@ def acceptance_exact(tx: DataFrame, patterns: DataFrame) -> DataFrame:
     return patterns.agg(F.sum("freq").alias("valid")).crossJoin(every).select("valid", "every", F.round(F.col("valid") / F.col("every"), 9).alias("rate"))
 
 
+def scan_stored(patterns: DataFrame, path: str, batches: int, size: int = 50, seed: int = SAMPLE_SEED) -> DataFrame:
+    """scan_sample with the miner's output written to disk once and read for each draw, instead of mined anew."""
+    patterns.select("pattern", "items").write.parquet(path)
+    return scan_sample(patterns.sparkSession.read.parquet(path), batches, size, seed)
+
+
 def scan_sample(patterns: DataFrame, batches: int, size: int = 50, seed: int = SAMPLE_SEED) -> DataFrame:
     """(batch, pos, line, pattern, items): line numbers of the miner's output are drawn, and printed as they are met in the next scan, which is why
     positions of a batch aren't exchangeable (B7).  The search order is that of the patterns' texts."""
@@ -98,7 +135,7 @@ def scan_sample(patterns: DataFrame, batches: int, size: int = 50, seed: int = S
     parts = keyed.groupBy("part").agg(F.count("*").alias("n")).withColumn("base", F.sum("n").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, 0)) - F.col("n"))
     numbered = keyed.withColumn("line", F.row_number().over(Window.partitionBy("part").orderBy("pattern"))).join(parts, "part").select((F.col("line") + F.col("base") - 1).alias("line"), "pattern", "items")
     total = patterns.agg(F.count("*").alias("total"))
-    drawn = ids(spark, batches, "batch").crossJoin(ids(spark, size, "k")).crossJoin(total).select("batch", "k", F.pmod(draw(F.lit(seed), F.lit("scan"), F.col("batch"), F.col("k")), F.col("total")).alias("line"))
+    drawn = ids(spark, batches, "batch").crossJoin(ids(spark, size, "k")).crossJoin(total).select("batch", "k", share_of(draw(F.lit(seed), F.lit("scan"), F.col("batch"), F.col("k")), F.col("total")).alias("line"))
     drawn = drawn.withColumn("pos", F.row_number().over(Window.partitionBy("batch").orderBy("line", "k")))
     return drawn.join(numbered, "line").select("batch", "pos", "line", "pattern", "items")
 
@@ -109,12 +146,14 @@ def batches_of(samples: DataFrame, size: int = 50) -> DataFrame:
     return ok.select(F.floor(F.col("sample_id") / size).alias("batch"), (F.col("sample_id") % size + 1).cast("int").alias("pos"), "pattern", F.split("pattern", ",").alias("items"))
 
 
-class Chain:
-    """States are masks over spec.Data; each chain is one row with its own seed."""
+class Chain(Search):
+    """States are masks over spec.Data; each chain is one row with its own seed.
 
-    def __init__(self, data: Data, task: MiningTask) -> None:
-        self.data, self.c, self.q = data, task.constraints.bound(data.transactions), task.quality
-        self.frequent = [j for j, b in enumerate(data.bitmaps) if data.count(b) >= self.c.minsup]
+    A chain walks over a space that holds the task's patterns and may be larger.  It is looked at after the burn-in and then after each gap; a state that isn't a
+    pattern of the task, or has no weight, is passed over and the chain looked at again a gap later, so the samples follow the chain's law on the patterns.  Looking
+    again at the very next pattern instead would favour those next to the rest of the space."""
+
+    start = 0
 
     def cover(self, mask: int) -> int:
         cover = self.data.everything
@@ -127,31 +166,66 @@ class Chain:
         cover = self.cover(mask)
         return self.q.weight(mask.bit_count(), self.data.count(cover), self.data.count_pos(cover))
 
-    def name(self, mask: int) -> str:
-        return ",".join(sorted(i for j, i in enumerate(self.data.items) if mask >> j & 1))
+    def step(self, mask: int, rng: random.Random) -> int:
+        raise NotImplementedError
+
+    def sampled(self, mask: int) -> bool:
+        return bool(mask or self.c.allow_empty) and self.valid(mask, self.cover(mask))
+
+    def run(self, rng: random.Random, burn_in: int, gap: int, n: int, max_gaps: int) -> Iterator[int]:
+        """At most n samples; fewer where max_gaps looks in a row find no pattern."""
+        mask, left, missed = self.start, burn_in, 0
+        while n and missed < max_gaps:
+            mask = self.step(mask, rng)
+            left -= 1
+            if left <= 0:
+                left = gap
+                if self.sampled(mask):
+                    yield mask
+                    n, missed = n - 1, 0
+                else:
+                    missed += 1
 
 
 class FlipChain(Chain):
     """A random frequent item is toggled; the move is made if the set stays frequent.  Uniform over frequent sets, the empty one among them."""
 
-    def run(self, rng: random.Random, burn_in: int, gap: int, n: int) -> Iterator[int]:
-        mask, cover, data = 0, self.data.everything, self.data
-        left = burn_in
-        while n:
-            j = rng.choice(self.frequent)
-            if mask >> j & 1:
-                mask ^= 1 << j
-                cover = self.cover(mask)
-            elif data.count(cover & data.bitmaps[j]) >= self.c.minsup:
-                mask, cover = mask | 1 << j, cover & data.bitmaps[j]
-            left -= 1
-            if left <= 0 and mask:
-                yield mask
-                n, left = n - 1, gap
+    def step(self, mask: int, rng: random.Random) -> int:
+        new = mask ^ 1 << rng.choice(self.frequent)
+        return new if new < mask and new & mask == new or self.data.count(self.cover(new)) >= self.c.minsup else mask
 
 
-class LatticeWalk(Chain):
-    """Metropolis walk between sets that differ by one item, by any quality."""
+class Metropolis(Chain):
+    """Steps between neighbours, accepted by the ratio of weights and of the ways there and back; states without weight count 1, so that they connect the rest."""
+
+    def __init__(self, *args) -> None:
+        super().__init__(*args)
+        self.known: dict[int, tuple[list[int], int]] = {}
+
+    def neighbours(self, mask: int) -> list[int]:
+        raise NotImplementedError
+
+    def of(self, mask: int) -> tuple[list[int], int]:
+        if mask not in self.known:
+            if len(self.known) > 200_000:
+                self.known.clear()
+            self.known[mask] = (self.neighbours(mask), max(1, self.weight(mask)))
+        return self.known[mask]
+
+    def sampled(self, mask: int) -> bool:
+        return super().sampled(mask) and self.weight(mask) > 0
+
+    def step(self, mask: int, rng: random.Random) -> int:
+        ways, w = self.of(mask)
+        new = rng.choice(ways)
+        back, w2 = self.of(new)
+        there, here = ways.count(new), back.count(mask)
+        # each way is as likely as any other of its state
+        return new if new != mask and rng.random() * w * there * len(back) < w2 * here * len(ways) else mask
+
+
+class LatticeWalk(Metropolis):
+    """Between frequent sets that differ by one item, by any quality and under any constraint."""
 
     def neighbours(self, mask: int) -> list[int]:
         out, cover = [], self.cover(mask)
@@ -162,38 +236,20 @@ class LatticeWalk(Chain):
                 out.append(mask | 1 << j)
         return out
 
-    def run(self, rng: random.Random, burn_in: int, gap: int, n: int) -> Iterator[int]:
-        known: dict[int, tuple[list[int], int]] = {}
-
-        def of(m: int) -> tuple[list[int], int]:
-            if m not in known:
-                if len(known) > 200_000:
-                    known.clear()
-                known[m] = (self.neighbours(m), max(1, self.weight(m)))
-            return known[m]
-
-        mask, left = 0, burn_in
-        while n:
-            nb, w = of(mask)
-            new = rng.choice(nb)
-            nb2, w2 = of(new)
-            if rng.random() * w * len(nb2) < w2 * len(nb):
-                mask = new
-            left -= 1
-            if left <= 0 and mask and mask.bit_count() >= self.c.min_len:
-                yield mask
-                n, left = n - 1, gap
-
 
-class ConceptWalk(Chain):
-    """Metropolis chain over closed sets: up by adding an item and closing, down by dropping an item and closing what is left.
+class ConceptWalk(Metropolis):
+    """Over closed sets: up by adding an item and closing, down by dropping an item and closing what is left.
 
     All moves of a state are counted, so the acceptance ratio is exact; a move that leads back to the state itself keeps it."""
 
+    def __init__(self, *args) -> None:
+        super().__init__(*args)
+        self.start = self.closure(self.data.everything)
+
     def closure(self, cover: int) -> int:
         return sum(1 << j for j, b in enumerate(self.data.bitmaps) if cover & b == cover)
 
-    def moves(self, mask: int) -> list[int]:
+    def neighbours(self, mask: int) -> list[int]:
         cover, out = self.cover(mask), []
         for j in self.frequent:
             if not mask >> j & 1:
@@ -203,46 +259,31 @@ class ConceptWalk(Chain):
                 out.append(self.closure(self.cover(mask ^ 1 << j)))
         return out
 
-    def run(self, rng: random.Random, burn_in: int, gap: int, n: int) -> Iterator[int]:
-        known: dict[int, tuple[list[int], int]] = {}
-
-        def of(m: int) -> tuple[list[int], int]:
-            if m not in known:
-                known[m] = (self.moves(m), max(1, self.weight(m)))
-            return known[m]
-
-        mask, left = self.closure(self.data.everything), burn_in
-        while n:
-            moves, w = of(mask)
-            new = rng.choice(moves)
-            back, w2 = of(new)
-            there, here = moves.count(new), back.count(mask)
-            if new != mask and here and rng.random() * w * there < w2 * here:
-                mask = new
-            left -= 1
-            if left <= 0 and mask and mask.bit_count() >= self.c.min_len:
-                yield mask
-                n, left = n - 1, gap
+    def sampled(self, mask: int) -> bool:
+        cover = self.cover(mask)  # states are closed already
+        return bool(mask or self.c.allow_empty) and self.admissible(mask, self.data.count(cover), self.data.count_pos(cover)) and self.weight(mask) > 0
 
 
 CHAINS = {"flip": FlipChain, "lattice": LatticeWalk, "concept": ConceptWalk}
 
 
-def chain_sample(spark: SparkSession, data: Data, task: MiningTask, kind: str, n: int, burn_in: int = 100_000, gap: int | None = None, chains: int = 8, seed: int = SAMPLE_SEED) -> DataFrame:
+def chain_sample(spark: SparkSession, data: Data, task: MiningTask, kind: str, n: int, burn_in: int = 100_000, gap: int | None = None, chains: int = 8, seed: int = SAMPLE_SEED, max_gaps: int = 10_000) -> DataFrame:
     """(sample_id, chain, pattern): `chains` independent chains, one row each, every one with its own burn-in.  The gap between samples is by
     default items * ln(items) (B4a)."""
     held = spark.sparkContext.broadcast(data)
 
     def work(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        walk = CHAINS[kind](held.value, task)
+        walk = CHAINS[kind](held.value, task.constraints, task.quality)
         k = len(walk.frequent)
         between = gap if gap is not None else max(1, round(k * math.log(max(2, k))))
         for b in batches:
             for c in b["id"]:
                 want = n // chains + (1 if c < n % chains else 0)
                 if want and k:
-                    got = list(walk.run(random.Random(f"{seed}:{c}"), burn_in, between, want))
-                    yield pd.DataFrame({"sample_id": [int(c) + chains * i for i in range(want)], "chain": int(c), "pattern": [walk.name(m) for m in got]})
+                    got = list(walk.run(random.Random(f"{seed}:{c}"), burn_in, between, want, max_gaps))
+                    if not got:
+                        continue
+                    yield pd.DataFrame({"sample_id": [int(c) + chains * i for i in range(len(got))], "chain": int(c), "pattern": [walk.names(m) for m in got]})
 
     return spark.range(0, chains, 1, chains).mapInPandas(work, "sample_id bigint, chain bigint, pattern string")
 

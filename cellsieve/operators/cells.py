@@ -3,39 +3,48 @@
 An item has one 52-bit word for each run; bit k of the XOR of a pattern's words is its parity under the run's k-th random constraint.  The XOR
 with the run's own word of right sides marks the constraints that the pattern breaks, and the number of trailing zeros is its depth: the count of leading
 constraints that it meets.  The cell of m constraints holds the patterns of depth m or more, so one aggregation by (run, depth) and one running
-sum over falling depth give every cell of every run.  The rows that reach the shuffle are runs times depths, whatever the number of patterns.
+sum over falling depth give every cell of every run.
 
-Weights are integer numerators of the qualities (spec.QUALITIES), so that sums are exact; bounds are multiplied by the scale C instead.
-Patterns with weight 0 are outside the space that is sampled.
+Patterns times runs is the whole work, so it is done on Arrow batches of patterns, blocks of runs at a time: a pair costs a few nanoseconds, and the
+product never leaves the worker.  Estimation sends on sums by run and depth, sampling the members of the first cell that it may need.  A worker
+makes the words of the items that it meets from their names; it holds WORDS_HELD of them at most, whatever the number of items and runs.
+
+Weights are integer numerators of the qualities (spec.QUALITIES), so that sums are exact; bounds are multiplied by the scale C instead.  A sum beyond the
+range of its type raises.  Patterns with weight 0 are outside the space that is sampled.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..functions.hashing import draw, trailing_zeros, two_to, unit
+from ..functions.hashing import draw, draw_py, share_of, unit
 from ..params import EstimateParams, cell_range, initial_xors
 from ..spec import QUALITIES, Quality
 
 ESTIMATE_SEED = 1
 SAMPLE_SEED = 2
-#: Constraints that are kept of a run's 52.
-DEEPEST = 40
+#: Constraints of a run.
+DEEPEST = 52
+#: Patterns and runs that a worker multiplies at once, and words that it holds.
+PATTERN_BLOCK, RUN_BLOCK, WORDS_HELD = 2_048, 256, 1 << 24
 
 
 def weighted(patterns: DataFrame, quality: Quality | str) -> DataFrame:
     """patterns with w, the integer weight; those of weight 0 go."""
     q = QUALITIES[quality] if isinstance(quality, str) else quality
-    return patterns.withColumn("w", F.expr(q.spark).cast("bigint")).where("w > 0")
+    return patterns.withColumn("w", F.expr(q.spark).cast("decimal(38,0)" if q.wide else "bigint")).where("w > 0")
 
 
 def target_distribution(patterns: DataFrame, quality: Quality | str) -> DataFrame:
     """(pattern, p): quality over its sum (M1)."""
     w = weighted(patterns, quality)
-    return w.crossJoin(F.broadcast(w.agg(F.sum("w").alias("total")))).select("pattern", (F.col("w") / F.col("total")).alias("p"))
+    return w.crossJoin(F.broadcast(w.agg(F.sum("w").alias("total")))).select("pattern", (F.col("w").cast("double") / F.col("total").cast("double")).alias("p"))
 
 
 def observed_tilt(patterns: DataFrame, quality: Quality | str) -> DataFrame:
@@ -47,29 +56,106 @@ def runs_table(spark: SparkSession, n: int) -> DataFrame:
     return spark.range(n).select(F.col("id").alias("run"))
 
 
-def with_depth(patterns: DataFrame, runs: DataFrame, seed: int) -> DataFrame:
-    """Every (run, pattern) with the pattern's depth in the run.
+class Words:
+    """The words of items in the runs 0 .. n - 1, and the runs' right sides."""
+
+    def __init__(self, seed: int, n: int) -> None:
+        self.seed, self.n, self.held = seed, n, {}
+
+    def block(self, start: int, names: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """(words of the names by runs start .. start + RUN_BLOCK - 1, a row of zeros last; right sides)."""
+        runs = range(start, min(self.n, start + RUN_BLOCK))
+        if len(self.held) * RUN_BLOCK > WORDS_HELD:
+            self.held.clear()
+        for i in (*names, "parity"):
+            if (start, i) not in self.held:
+                self.held[start, i] = np.array([draw_py(self.seed, r, i) for r in runs], np.int64)
+        return np.stack([*(self.held[start, i] for i in names), np.zeros(len(runs), np.int64)]), self.held[start, "parity"]
+
+
+def crossed(batch: pa.RecordBatch, words: Words, least: int) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.ndarray]]:
+    """(first run, runs from it, rows of the batch, depths) of the pairs whose depth is at least `least`, by blocks of runs."""
+    column = batch.column("items")
+    size = np.maximum(column.value_lengths().fill_null(0).to_numpy(zero_copy_only=False), 0).astype(np.int64)
+    coded = column.flatten().dictionary_encode()
+    names = coded.dictionary.to_pylist()
+    # every pattern ends with the row of zeros, so that an empty one is a stretch too
+    ends = np.cumsum(size + 1)
+    codes = np.full(int(ends[-1]) if len(ends) else 0, len(names), np.int64)
+    inner = np.ones(len(codes), bool)
+    inner[ends - 1] = False
+    codes[inner] = coded.indices.to_numpy(zero_copy_only=False)
+    mask = np.int64((1 << least) - 1)
+    for start in range(0, words.n, RUN_BLOCK):
+        by_item, rhs = words.block(start, names)
+        broken = np.bitwise_xor.reduceat(by_item[codes], ends - size - 1, axis=0) ^ rhs
+        at, run = np.nonzero(broken & mask == 0)
+        v = broken[at, run]
+        depth = np.where(v == 0, DEEPEST, np.bitwise_count((v & -v) - 1)).astype(np.int32)
+        yield start, run, at, depth
+
+
+def spread(patterns: DataFrame) -> DataFrame:
+    """The product is the work: a small pattern table must not end up in one partition; a number given here is kept by adaptive execution."""
+    spark = patterns.sparkSession
+    return patterns.repartition(max(int(spark.conf.get("spark.sql.shuffle.partitions")), spark.sparkContext.defaultParallelism))
+
+
+def slices(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for whole in batches:
+        for at in range(0, whole.num_rows, PATTERN_BLOCK):
+            yield whole.slice(at, PATTERN_BLOCK)
+
+
+def with_depth(patterns: DataFrame, runs: int, seed: int, least: int = 0) -> DataFrame:
+    """Every (run, pattern) with the pattern's depth in the run, where it is at least `least`; items go, the other columns stay."""
+    kept = [c for c in patterns.columns if c != "items"]
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        words = Words(seed, runs)
+        for b in slices(batches):
+            slim = b.select(kept)
+            for start, run, at, depth in crossed(b, words, least):
+                if len(at):
+                    yield pa.RecordBatch.from_arrays([*slim.take(pa.array(at)).columns, pa.array(run + start, pa.int64()), pa.array(depth, pa.int32())], [*kept, "run", "depth"])
+
+    schema = patterns.select(kept).withColumns({"run": F.lit(0).cast("bigint"), "depth": F.lit(0)}).schema
+    return spread(patterns).mapInArrow(work, schema)
+
+
+def depth_sums(patterns: DataFrame, runs: int, seed: int) -> DataFrame:
+    """(run, depth, w, n): weight and number of the patterns of that very depth; patterns have items and w.  Sums of a batch are made where it is multiplied."""
+    kind = patterns.schema["w"].dataType.simpleString()
+    wide = kind != "bigint"
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        import decimal
+
+        words = Words(seed, runs)
+        for b in slices(batches):
+            w = np.array([int(x) for x in b.column("w").to_pylist()], object)
+            # sums of a block stay inside 64 bits, or are made with Python's integers
+            small = not len(w) or max(w) < (1 << 62) // PATTERN_BLOCK
+            w = w.astype(np.int64) if small else w
+            for start, run, at, depth in crossed(b, words, 0):
+                cells = (min(words.n - start, RUN_BLOCK), DEEPEST + 1)
+                weight, count = np.zeros(cells, w.dtype), np.zeros(cells, np.int64)
+                np.add.at(weight, (run, depth), w[at])
+                np.add.at(count, (run, depth), 1)
+                r, d = np.nonzero(count)
+                sums = [decimal.Decimal(int(x)) for x in weight[r, d]] if wide else weight[r, d].tolist()
+                yield pa.RecordBatch.from_arrays([pa.array(r + start, pa.int64()), pa.array(d, pa.int32()), pa.array(sums, pa.decimal128(38, 0) if wide else pa.int64()), pa.array(count[r, d])], ["run", "depth", "w", "n"])
 
-    A run carries an array of its items' words, a pattern the places of its items in it, one column each, so that the parities of a pair are a chain of
-    look-ups and XORs inside generated code.  The number of columns is the length of the longest pattern."""
-    longest = patterns.agg(F.max(F.size("items"))).first()[0] or 0
-    items = patterns.select(F.explode("items").alias("item")).distinct().agg(F.array_sort(F.collect_set("item")).alias("names"))
-    numbered = patterns.crossJoin(F.broadcast(items)).withColumn("at", F.transform("items", lambda i: (F.array_position("names", i) - 1).cast("int")))
-    # places beyond the pattern's length hold no word, which changes no parity
-    numbered = numbered.select(*[c for c in patterns.columns if c != "items"], *[F.coalesce(F.get("at", F.lit(k)), F.lit(-1)).alias(f"at{k}") for k in range(longest)])
-    per_run = runs.crossJoin(F.broadcast(items)).select("run", draw(F.lit(seed), F.col("run"), F.lit("parity")).alias("rhs"), F.posexplode("names").alias("pos", "item"))
-    per_run = per_run.groupBy("run", "rhs").agg(F.array_sort(F.collect_list(F.struct("pos", draw(F.lit(seed), F.col("run"), F.col("item")).alias("word")))).alias("sorted")).select("run", "rhs", F.col("sorted.word").alias("words"))
-    broken = F.col("rhs")
-    for k in range(longest):
-        broken = broken.bitwiseXOR(F.coalesce(F.get("words", F.col(f"at{k}")), F.lit(0).cast("bigint")))
-    # the product is the work: a small pattern table must not end up in one partition; a number given here is kept by adaptive execution
-    both = numbered.repartition(max(int(patterns.sparkSession.conf.get("spark.sql.shuffle.partitions")), patterns.sparkSession.sparkContext.defaultParallelism)).crossJoin(per_run).withColumn("broken", broken)
-    return both.withColumn("depth", F.least(trailing_zeros(F.col("broken")), F.lit(DEEPEST))).drop(*[f"at{k}" for k in range(longest)], "words", "rhs", "broken")
+    per = spread(patterns.select("items", "w")).mapInArrow(work, f"run bigint, depth int, w {kind}, n bigint")
+    return per.groupBy("run", "depth").agg(F.sum("w").cast(kind).alias("w"), F.sum("n").alias("n"))
 
 
-def nested_cells(patterns: DataFrame, runs: DataFrame, seed: int) -> DataFrame:
+def nested_cells(patterns: DataFrame, runs: int, seed: int) -> DataFrame:
     """(run, m, cell_weight, n_patterns) for every m at which some pattern has that very depth."""
-    depth = with_depth(patterns.select("items", "w"), runs, seed).groupBy("run", "depth").agg(F.sum("w").alias("w"), F.count("*").alias("n"))
+    return cells_of(depth_sums(patterns, runs, seed))
+
+
+def cells_of(depth: DataFrame) -> DataFrame:
     down = Window.partitionBy("run").orderBy(F.desc("depth"))
     return depth.select("run", F.col("depth").alias("m"), F.sum("w").over(down).alias("cell_weight"), F.sum("n").over(down).alias("n_patterns"))
 
@@ -90,19 +176,20 @@ def estimate_runs(patterns: DataFrame, quality: str, scaled: Scaled, params: Est
     """(run, m, cell_weight, attempt, estimate) of each run (M7, M13): m is the least number of constraints whose cell weighs no more than the pivot.
 
     A run has `attempts` sets of constraints; the first whose cell isn't empty counts."""
-    spark = patterns.sparkSession
-    w = weighted(patterns, quality)
-    cells = nested_cells(w, runs_table(spark, params.runs * params.attempts), seed)
-    bound = params.pivot * scaled.scale * scaled.w_max
+    return fitting_runs(nested_cells(weighted(patterns, quality), params.runs * params.attempts, seed), params.pivot * scaled.scale * scaled.w_max, params)
+
+
+def fitting_runs(cells: DataFrame, bound: float, params: EstimateParams, base: int = 0) -> DataFrame:
+    """estimate_runs from the cells of all attempts with `base` constraints or more, wherever they were searched."""
     # between two listed depths the cell is that of the deeper one, so the least m is one above the last depth that is too heavy
     up = Window.partitionBy("run").orderBy(F.desc("m"))
     firsts = cells.withColumn("before", F.lead("m").over(up)).withColumn("before_weight", F.lead("cell_weight").over(up))
     fits = firsts.where((F.col("cell_weight") <= bound) & (F.col("before_weight").isNull() | (F.col("before_weight") > bound)))
-    fits = fits.select("run", F.when(F.col("before").isNull(), 0).otherwise(F.col("before") + 1).cast("int").alias("m"), "cell_weight")
+    fits = fits.select("run", F.when(F.col("before").isNull(), base).otherwise(F.col("before") + 1).cast("int").alias("m"), "cell_weight")
     tried = fits.select(F.floor(F.col("run") / params.attempts).cast("bigint").alias("run"), (F.col("run") % params.attempts).cast("int").alias("attempt"), "m", "cell_weight")
     best = tried.groupBy("run").agg(F.min_by(F.struct("m", "cell_weight", "attempt"), "attempt").alias("b"))
-    power = two_to(F.col("b.m"))
-    return best.select("run", F.col("b.m").alias("m"), F.col("b.cell_weight").alias("cell_weight"), F.col("b.attempt").alias("attempt"), (F.col("b.cell_weight") * power).alias("estimate"))
+    estimate = F.col("b.cell_weight").cast("double") * F.pow(F.lit(2.0), F.col("b.m"))
+    return best.select("run", F.col("b.m").alias("m"), F.col("b.cell_weight").alias("cell_weight"), F.col("b.attempt").alias("attempt"), estimate.alias("estimate"))
 
 
 def estimate_total(runs: DataFrame, patterns: DataFrame, quality: str) -> DataFrame:
@@ -117,14 +204,17 @@ def sample(patterns: DataFrame, quality: str, scaled: Scaled, total: float, n: i
     Cells of N to N + 3 constraints are tried in turn: in range, one pattern is drawn by weight; too heavy, one more is added; too light, the sample
     fails as `too_small`, after the fourth cell as `too_large`.  The draw is an exponential race: the pattern with the least -ln(u) / w wins, which needs no
     cell to be gathered (A.6)."""
-    spark = patterns.sparkSession
-    lo, hi = (x * scaled.scale * scaled.w_max for x in cell_range(kappa))
     start = initial_xors(total / scaled.scale, kappa, scaled.w_max)
-    w = weighted(patterns, quality)
-    deep = with_depth(w.select("pattern", "items", "w"), runs_table(spark, n), seed).where(F.col("depth") >= start)
+    deep = with_depth(weighted(patterns, quality).select("pattern", "items", "w"), n, seed, start)
     level = F.least(F.col("depth") - start, F.lit(3)).cast("int")
-    race = F.round(F.ln(unit(draw(F.lit(seed), F.lit("pick"), F.col("run"), F.col("pattern")))) / F.col("w"), 12)
+    race = F.round(F.ln(unit(draw(F.lit(seed), F.lit("pick"), F.col("run"), F.col("pattern")))) / F.col("w").cast("double"), 12)
     each = deep.groupBy("run", level.alias("level")).agg(F.sum("w").alias("w"), F.max(F.struct(race.alias("key"), F.col("pattern"))).alias("best"))
+    return drawn_cells(each, patterns.sparkSession, scaled, start, n, kappa)
+
+
+def drawn_cells(each: DataFrame, spark: SparkSession, scaled: Scaled, start: int, n: int, kappa: float) -> DataFrame:
+    """sample's rows from (run, level, w, best): the weight of the patterns of that very level, and the winner of their race."""
+    lo, hi = (x * scaled.scale * scaled.w_max for x in cell_range(kappa))
     down = Window.partitionBy("run").orderBy(F.desc("level"))
     # levels without a pattern of their very depth have the cell of the next deeper one
     every = runs_table(spark, n).crossJoin(spark.range(4).select(F.col("id").cast("int").alias("level")))
@@ -154,7 +244,7 @@ def sample_tilt_sliced(patterns: DataFrame, quality: str, n: int, kappa: float,
         cum += sums[s]
         cases.append((s, cum))
     pick: Column = F.lit(cases[-1][0] if cases else 0)
-    r = F.pmod(draw(F.lit(seed), F.lit("slice"), F.col("sample_id")), F.lit(max(1, total)))
+    r = share_of(draw(F.lit(seed), F.lit("slice"), F.col("sample_id")), F.lit(max(1, int(total))).cast("decimal(20,0)"))
     for s, c in reversed(cases[:-1]):
         pick = F.when(r < c, F.lit(s)).otherwise(pick)
     wanted = patterns.sparkSession.range(n).select(F.col("id").alias("sample_id")).withColumn("slice", pick)

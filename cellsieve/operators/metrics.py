@@ -34,6 +34,12 @@ def js_divergence(pq: DataFrame) -> DataFrame:
     return pq.agg(F.round(F.sum(_term(F.col("p"), m) + _term(F.col("q"), m)) / 2, 9).alias("js"))
 
 
+def js_gap(target: DataFrame, ours: DataFrame, ideal: DataFrame) -> DataFrame:
+    """One row: divergence of our samples and of as many ideal ones from the target, and their difference (A5)."""
+    a, b = js_divergence(compared(target, ours)).select(F.col("js").alias("ours")), js_divergence(compared(target, ideal)).select(F.col("js").alias("ideal"))
+    return a.crossJoin(b).withColumn("gap", F.round(F.col("ours") - F.col("ideal"), 9))
+
+
 def js_expected(patterns: int, samples: int) -> float:
     """What an exact sampler can be expected to reach."""
     return (patterns - 1) / (8 * samples * math.log(2))
@@ -93,6 +99,14 @@ def value_percentiles(everything: DataFrame, value: str) -> DataFrame:
     return everything.agg(F.count("*").alias("n"), F.min(value).alias("least"), *[F.expr(f"round(percentile({value}, {q}), 6)").alias(n) for n, q in cuts.items()], F.max(value).alias("most"))
 
 
+def value_ranks(everything: DataFrame, samples: DataFrame, value: str) -> DataFrame:
+    """samples with the share of all patterns or sets whose value is smaller, by one join with the table of distinct values."""
+    per = everything.groupBy(value).agg(F.count("*").alias("n"))
+    below = per.select(value, F.coalesce(F.sum("n").over(Window.orderBy(value).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("below"))
+    total = per.agg(F.sum("n").alias("all"))
+    return samples.join(below, value).crossJoin(F.broadcast(total)).withColumn("rank", F.round(F.col("below") / F.col("all"), 9)).drop("below", "all")
+
+
 def diversity(samples: DataFrame) -> DataFrame:
     """One row: samples, share of distinct ones, items touched, mean Jaccard of pairs of samples.
 

@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.lineage import cut
-from ..spec import Constraints
+from ..spec import QUALITIES, Constraints, Quality
 
 PATTERN = ("pattern", "items", "size", "freq", "freq_pos")
 
@@ -49,6 +49,8 @@ def frequent_cube(rows: DataFrame, attributes: Sequence[str], minsup: int, label
 
     Rows are condensed before they are expanded into cells, so the expansion works on distinct combinations."""
     condensed = rows.groupBy(*attributes).agg(F.count("*").alias("mult"), F.sum(F.col(label).cast("bigint")).alias("pos"))
+    # a row becomes 2 ** attributes of them: few, short rows must not end up in one partition
+    condensed = condensed.repartition(max(int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")), rows.sparkSession.sparkContext.defaultParallelism))
     cells = condensed.cube(*attributes).agg(F.sum("mult").alias("freq"), F.sum("pos").alias("freq_pos"), *[F.grouping(a).alias(f"out_{a}") for a in attributes]).where(F.col("freq") >= minsup)
     # a null that stands in the data is no item: its cell would repeat the one in which the attribute is left out
     for a in attributes:
@@ -60,19 +62,21 @@ def frequent_cube(rows: DataFrame, attributes: Sequence[str], minsup: int, label
 def frequent_levelwise(tx: DataFrame, minsup: int, max_len: int) -> DataFrame:
     """Frequent itemsets of baskets up to max_len, level by level.
 
-    A level's occurrences are (row, itemset) pairs; joining them with the row's frequent items that come later gives the next level's, and a
-    semi-join with the frequent itemsets drops the rest before the next level."""
-    rows = without_infrequent(tx, minsup).withColumn("tid", F.xxhash64("tid", "items"))
-    single = rows.select("tid", "label", F.explode("items").alias("item"))
+    Equal transactions are condensed and numbered first.  A level's occurrences are (row, itemset) pairs; joining them with the row's frequent items that come later
+    gives the next level's, and a semi-join with the frequent itemsets drops the rest before the next level."""
+    rows = cut(condense(tx.select(F.array_sort(F.array_distinct("items")).alias("items"), "label")).withColumn("row", F.monotonically_increasing_id()))
+    each = rows.select("row", "mult", "pos", F.explode("items").alias("item"))
+    known = each.groupBy("item").agg(F.sum("mult").alias("n")).where(F.col("n") >= minsup).select("item")
+    single = cut(each.join(known, "item", "left_semi"))
     # a level is read twice, by its count and by the next level, so each is kept in the shared folder
-    occurrences = single.select("tid", "label", F.array("item").alias("items"), F.col("item").alias("last"))
+    occurrences = single.select("row", "mult", "pos", F.array("item").alias("items"), F.col("item").alias("last"))
     out = None
     for size in range(1, max_len + 1):
-        level = occurrences.groupBy("items").agg(F.count("*").alias("freq"), F.coalesce(F.sum(F.col("label").cast("bigint")), F.lit(0)).alias("freq_pos")).where(F.col("freq") >= minsup)
+        level = occurrences.groupBy("items").agg(F.sum("mult").alias("freq"), F.sum("pos").alias("freq_pos")).where(F.col("freq") >= minsup)
         out = level if out is None else out.union(level)
         if size < max_len:
             kept = occurrences.join(level.select("items"), "items", "left_semi")
-            occurrences = cut(kept.join(single.select("tid", "item"), "tid").where("item > last").select("tid", "label", F.concat("items", F.array("item")).alias("items"), F.col("item").alias("last")))
+            occurrences = cut(kept.join(single.select("row", "item"), "row").where("item > last").select("row", "mult", "pos", F.concat("items", F.array("item")).alias("items"), F.col("item").alias("last")))
             if occurrences.isEmpty():
                 break
     return finished(out)
@@ -135,9 +139,15 @@ def constrained(patterns: DataFrame, c: Constraints) -> DataFrame:
     return out
 
 
+def quality_between(patterns: DataFrame, quality: Quality | str, least: float, most: float) -> DataFrame:
+    """The patterns whose quality's integer weight lies between two bounds (K9), for slices of high tilt and for the right tail."""
+    q = QUALITIES[quality] if isinstance(quality, str) else quality
+    return patterns.where(F.expr(q.spark).between(least, most))
+
+
 def support(patterns: DataFrame, tx: DataFrame) -> DataFrame:
     """(pattern, support) of given itemsets in any transactions (O13): equal transactions are joined once, by item, and complete ones kept."""
-    rows = tx.groupBy("items").agg(F.count("*").alias("mult")).select(F.xxhash64("items").alias("row"), "mult", F.explode("items").alias("item"))
+    rows = tx.groupBy("items").agg(F.count("*").alias("mult")).select(F.unhex(F.md5(F.array_join("items", "\x1f"))).alias("row"), "mult", F.explode("items").alias("item"))
     wanted = patterns.select("pattern", "size", F.explode("items").alias("item"))
     full = rows.join(wanted, "item").groupBy("row", "mult", "pattern", "size").agg(F.count("*").alias("n")).where("n = size")
     return patterns.select("pattern").join(full.groupBy("pattern").agg(F.sum("mult").alias("support")), "pattern", "left").select("pattern", F.coalesce("support", F.lit(0)).alias("support"))

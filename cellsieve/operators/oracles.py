@@ -23,6 +23,8 @@ class CellResult:
     weight: int = 0
     overflow: bool = False
     nodes: int = 0
+    #: Bytes of XOR rows on the search stack at once, the most so far.
+    xor_bytes: int = 0
 
 
 class Oracle(Protocol):
@@ -35,8 +37,10 @@ class Oracle(Protocol):
 
 def xor_rows(data: Data, seed: int, run: int, m: int) -> list[tuple[int, int]]:
     """The first m random constraints of a run: the same bits as the relational sampler's, keyed by item names (A.3)."""
-    words, rhs = [draw_py(seed, run, i) for i in data.items], draw_py(seed, run, "parity")
-    return [(sum((w >> k & 1) << j for j, w in enumerate(words)), rhs >> k & 1) for k in range(m)]
+    if data.words[:2] != (seed, run):
+        data.words = (seed, run, [draw_py(seed, run, i) for i in reversed(data.items)])
+    rhs = draw_py(seed, run, "parity")
+    return [(int("".join("1" if w >> k & 1 else "0" for w in data.words[2]) or "0", 2), rhs >> k & 1) for k in range(m)]
 
 
 class Search:
@@ -69,6 +73,38 @@ class Search:
     def stream(self, xors: list[tuple[int, int]], out: CellResult) -> Iterator[tuple[int, int, int, int]]:
         raise NotImplementedError
 
+    def admissible(self, mask: int, freq: int, pos: int) -> bool:
+        """Every constraint but closedness, judged on one itemset with its supports."""
+        c, size = self.c, mask.bit_count()
+        if freq < c.minsup or c.max_sup is not None and freq > c.max_sup or pos < c.min_pos:
+            return False
+        if size < c.min_len or c.max_len is not None and size > c.max_len or not mask and not c.allow_empty:
+            return False
+        if self.impossible or mask & self.must != self.must or mask & self.must_not:
+            return False
+        if any(mask >> a & 1 and b & ~mask for a, b in self.implied.items()):
+            return False
+        return not c.one_per_attribute or all((mask & g).bit_count() <= 1 for g in self.groups.values())
+
+    def valid(self, mask: int, cover: int) -> bool:
+        """Every constraint of the task."""
+        if not self.admissible(mask, self.data.count(cover), self.data.count_pos(cover)):
+            return False
+        return not self.c.closed or all(mask >> j & 1 or cover & b != cover for j, b in enumerate(self.data.bitmaps))
+
+    def branch(self, j: int) -> CellResult:
+        """Weight and number of the patterns whose first frequent item is j, without a bound; no pattern is kept."""
+        out = CellResult()
+        c = self.c
+        later = self.frequent[self.frequent.index(j) + 1 :]
+        earlier = [i for i in self.frequent if i not in later and i != j]
+        names = self.data.items
+        inner = type(self)(self.data, Constraints(**{**c.__dict__, "must": (*c.must, names[j]), "must_not": (*c.must_not, *(names[i] for i in earlier))}), self.q)
+        for s in inner.stream([], out) if isinstance(self, GenericOracle) else self.node(1 << j, self.data.bitmaps[j], self.data.count(self.data.bitmaps[j]), later, Gf2System(), out):
+            out.weight += s[3]
+            out.solutions = [(0, 0, 0, (out.solutions[0][3] if out.solutions else 0) + 1)]
+        return out
+
     def solution(self, mask: int, cover: int, freq: int) -> tuple[int, int, int, int] | None:
         pos = self.data.count_pos(cover)
         if self.c.max_sup is not None and freq > self.c.max_sup or pos < self.c.min_pos:
@@ -100,9 +136,11 @@ class TidsetOracle(Search):
             return
         yield from self.node(0, data.everything, data.transactions, list(self.frequent), system, out)
 
-    def node(self, prefix, cover, freq, suffixes, system, out):
+    def node(self, prefix, cover, freq, suffixes, system, out, held=0):
         c, data = self.c, self.data
         out.nodes += 1
+        held += len(system.rows) * (len(data.items) // 8 + 1)
+        out.xor_bytes = max(out.xor_bytes, held)
         while True:
             kept, dropped = [], 0
             for j in suffixes:
@@ -144,7 +182,7 @@ class TidsetOracle(Search):
                 before |= 1 << j
                 continue
             shrunk = cover & data.bitmaps[j]
-            yield from self.node(prefix | 1 << j, shrunk, data.count(shrunk), suffixes[k + 1 :], child, out)
+            yield from self.node(prefix | 1 << j, shrunk, data.count(shrunk), suffixes[k + 1 :], child, out, held)
             before |= 1 << j
 
 
@@ -154,22 +192,25 @@ class GenericOracle(Search):
 
     def stream(self, xors, out):
         data = self.data
-        if self.impossible or self.must & self.must_not:
+        # infrequent items are out, and can't stand in all that a frequent set covers, so nothing below looks at them
+        out_at_once = self.must_not | (1 << len(data.items)) - 1 & ~self.frequent_mask
+        if self.impossible or self.must & out_at_once:
             return
-        free = (1 << len(data.items)) - 1
+        free = self.frequent_mask
         try:
             system = Gf2System(xors)
-            system.assign(self.must, self.must_not)
+            system.assign(self.must, out_at_once)
         except Conflict:
             return
         cover = data.everything
         for j in range(self.must.bit_length()):
             if self.must >> j & 1:
                 cover &= data.bitmaps[j]
-        stack = [(self.must, self.must_not, free & ~self.must & ~self.must_not, cover, system)]
+        stack = [(self.must, out_at_once, free & ~self.must & ~out_at_once, cover, system)]
         while stack:
             ones, zeros, free, cover, system = stack.pop()
             out.nodes += 1
+            out.xor_bytes = max(out.xor_bytes, (len(stack) + 1) * len(system.rows) * (len(data.items) // 8 + 1))
             state = self.fixpoint(ones, zeros, free, cover, system)
             if state is None:
                 continue
@@ -204,8 +245,8 @@ class GenericOracle(Search):
                     return None
                 if ones.bit_count() == c.max_len:
                     new_zero |= free
-            for j, b in enumerate(data.bitmaps):
-                bit = 1 << j
+            for j in self.frequent:
+                bit, b = 1 << j, data.bitmaps[j]
                 if ones & bit:
                     if j in self.implied:
                         if self.implied[j] & zeros or self.implied[j] >> len(data.items):

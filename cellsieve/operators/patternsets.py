@@ -6,15 +6,17 @@ text, so each pair is listed once (K13).
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.gf2 import Conflict, Gf2System
-from ..functions.hashing import draw, trailing_zeros, two_to, unit
-from ..params import cell_range, initial_xors
-from .cells import DEEPEST, runs_table
+from ..functions.hashing import draw, trailing_zeros, unit
+from ..functions.lineage import cut
+from ..params import EstimateParams, cell_range, initial_xors
+from .cells import DEEPEST, cells_of, fitting_runs, runs_table
 from .oracles import Search
 
 
@@ -26,13 +28,47 @@ def union_text(a: str = "items1", b: str = "items2") -> Column:
     return F.array_join(F.array_sort(F.array_union(a, b)), ",")
 
 
-def tilings(patterns: DataFrame, occurring: DataFrame) -> DataFrame:
-    """All non-overlapping pairs of the patterns (M33, K11, K12).  occurring lists, as `pattern`, every itemset that some transaction contains: covers overlap exactly when
-    the union of the two occurs, so an anti-join replaces the comparison of covers.  Area is the sum of support times length."""
+def covers(patterns: DataFrame, tx: DataFrame) -> DataFrame:
+    """(row, pattern): the distinct transactions that hold each pattern, by an equi-join on items."""
+    rows = tx.select(F.array_distinct("items").alias("items")).distinct().select(F.unhex(F.md5(F.array_join("items", "\x1f"))).alias("row"), F.explode("items").alias("item"))
+    wanted = patterns.select("pattern", "size", F.explode("items").alias("item"))
+    return rows.join(wanted, "item").groupBy("row", "pattern", "size").agg(F.count("*").alias("n")).where("n = size").select("row", "pattern")
+
+
+def overlapping(patterns: DataFrame, tx: DataFrame) -> DataFrame:
+    """(p1, p2), p1 < p2: pairs of patterns that some transaction holds both of (K12).  For data of any width: it grows with the pairs that meet in a transaction,
+    and needs no table of all itemsets that occur."""
+    c = cut(covers(patterns, tx))
+    return c.select("row", F.col("pattern").alias("p1")).join(c.select("row", F.col("pattern").alias("p2")), "row").where("p1 < p2").select("p1", "p2").distinct()
+
+
+def apart(pairs: DataFrame, known: DataFrame) -> DataFrame:
+    """The pairs whose covers don't overlap.  known is either overlapping()'s table, or lists, as `pattern`, every itemset that some transaction contains: covers
+    overlap exactly when the union of the two occurs.  Either way an anti-join replaces the comparison of covers."""
+    if "p1" in known.columns:
+        return pairs.join(known.select(F.col("p1").alias("pattern1"), F.col("p2").alias("pattern2")), ["pattern1", "pattern2"], "left_anti")
+    return pairs.withColumn("pattern", union_text()).join(known.select("pattern"), "pattern", "left_anti").drop("pattern")
+
+
+def tilings(patterns: DataFrame, known: DataFrame) -> DataFrame:
+    """All non-overlapping pairs of the patterns (M33, K11, K12); known as for apart.  Area is the sum of support times length."""
     one, two = sides(patterns)
-    pairs = one.join(two, (F.col("pattern1") < F.col("pattern2")) & ~F.arrays_overlap("items1", "items2"))
-    pairs = pairs.withColumn("pattern", union_text()).join(occurring.select("pattern"), "pattern", "left_anti")
-    return named(pairs)
+    return named(apart(one.join(two, (F.col("pattern1") < F.col("pattern2")) & ~F.arrays_overlap("items1", "items2")), known))
+
+
+def k_tilings(patterns: DataFrame, known: DataFrame, k: int) -> DataFrame:
+    """(p1 .. pk, area) of all k-tilings (M32): tilings of one pattern fewer, joined with the pairs that their last pattern forms, and with those of the others."""
+    pairs = cut(tilings(patterns, known).select("p1", "p2"))
+    area = patterns.select(F.col("pattern"), (F.col("freq") * F.col("size")).alias("a"))
+    out = pairs
+    for n in range(3, k + 1):
+        out = out.join(pairs.select(F.col("p1").alias(f"p{n - 1}"), F.col("p2").alias(f"p{n}")), f"p{n - 1}")
+        for j in range(1, n - 1):
+            out = out.join(pairs.select(F.col("p1").alias(f"p{j}"), F.col("p2").alias(f"p{n}")), [f"p{j}", f"p{n}"], "left_semi")
+    names = [f"p{n}" for n in range(1, k + 1)]
+    for n in names:
+        out = out.join(area.select(F.col("pattern").alias(n), F.col("a").alias(f"a_{n}")), n)
+    return out.select(*names, sum((F.col(f"a_{n}") for n in names), F.lit(0)).cast("bigint").alias("area"))
 
 
 def named(pairs: DataFrame) -> DataFrame:
@@ -45,7 +81,7 @@ def signature(items: str, run: Column, slot: int, seed: int) -> Column:
     return F.aggregate(items, F.lit(0).cast("bigint"), lambda acc, i: acc.bitwiseXOR(draw(F.lit(seed), run, F.lit(slot), i)))
 
 
-def tiling_cells(patterns: DataFrame, occurring: DataFrame, runs: DataFrame, m: int, seed: int) -> DataFrame:
+def tiling_cells(patterns: DataFrame, known: DataFrame, runs: DataFrame, m: int, seed: int) -> DataFrame:
     """(run, p1, p2, freq1, freq2, area, depth) of the tilings in each run's cell of m constraints.
 
     The parity of a pair is the XOR of its constituents' parities under their slots' coefficients, so members of a cell meet by an equi-join on the
@@ -60,33 +96,30 @@ def tiling_cells(patterns: DataFrame, occurring: DataFrame, runs: DataFrame, m:
     left = one.crossJoin(by_run).withColumn("sig1", sig(1)).drop("codes")
     right = two.crossJoin(by_run).withColumn("sig2", sig(2).bitwiseXOR(draw(F.lit(seed), F.col("run"), F.lit("parity")))).drop("codes")
     left, right = left.withColumn("cell", F.col("sig1").bitwiseAND(low)), right.withColumn("cell", F.col("sig2").bitwiseAND(low))
-    pairs = left.join(right, ["run", "cell"]).where((F.col("pattern1") < F.col("pattern2")) & ~F.arrays_overlap("items1", "items2"))
-    pairs = pairs.withColumn("pattern", union_text()).join(occurring.select("pattern"), "pattern", "left_anti")
+    pairs = apart(left.join(right, ["run", "cell"]).where((F.col("pattern1") < F.col("pattern2")) & ~F.arrays_overlap("items1", "items2")), known)
     depth = F.least(trailing_zeros(F.col("sig1").bitwiseXOR(F.col("sig2"))), F.lit(DEEPEST))
     return pairs.select("run", F.col("pattern1").alias("p1"), F.col("pattern2").alias("p2"), "freq1", "freq2", (F.col("freq1") * F.col("size1") + F.col("freq2") * F.col("size2")).alias("area"), depth.alias("depth"))
 
 
-def tiling_estimate(cells: DataFrame, base: int, bound: float) -> DataFrame:
-    """(run, m, cell_weight, estimate) from the cells of `base` constraints: the least m >= base whose cell weighs no more than bound."""
-    from pyspark.sql import Window
+def first_level(patterns: int) -> int:
+    """Constraints with which cells are looked at first: few enough that a cell is hardly ever empty, enough that a run has some thousand candidate pairs."""
+    return max(0, math.ceil(math.log2(max(1, patterns * (patterns - 1) // 2))) - 12)
 
-    depth = cells.groupBy("run", "depth").agg(F.sum("area").alias("w"))
-    down = Window.partitionBy("run").orderBy(F.desc("depth"))
-    total = depth.select("run", "depth", F.sum("w").over(down).alias("cell_weight"))
-    up = total.withColumn("before", F.lead("depth").over(down)).withColumn("before_weight", F.lead("cell_weight").over(down))
-    fits = up.where((F.col("cell_weight") <= bound) & (F.col("before").isNull() | (F.col("before_weight") > bound)))
-    m = F.when(F.col("before").isNull(), F.lit(base)).otherwise(F.col("before") + 1).cast("int")
-    return fits.select("run", m.alias("m"), "cell_weight").withColumn("estimate", F.col("cell_weight") * two_to(F.col("m")))
 
+def tiling_estimate(cells: DataFrame, base: int, bound: float, params: EstimateParams = EstimateParams()) -> DataFrame:
+    """(run, m, cell_weight, attempt, estimate) from the cells of `base` constraints of params.runs * params.attempts runs: the least m >= base whose cell
+    weighs no more than bound; of the attempts of a run the first that has a tiling counts (M13)."""
+    return fitting_runs(cells_of(cells.groupBy("run", "depth").agg(F.sum("area").alias("w"), F.count("*").alias("n"))), bound, params, base)
 
-def tiling_sample(patterns: DataFrame, occurring: DataFrame, total: float, scale: float, n: int, kappa: float, seed: int) -> DataFrame:
-    """(sample_id, status, p1, p2, area, n_xor): a tiling drawn by area from one cell in range for each sample."""
+
+def tiling_sample(patterns: DataFrame, known: DataFrame, total: float, scale: float, n: int, kappa: float, seed: int) -> DataFrame:
+    """(sample_id, status, p1, p2, area, n_xor): a tiling drawn by area from one cell in range for each sample (M31); without any tiling (total 0) all fail."""
     from pyspark.sql import Window
 
     lo, hi = (x * scale for x in cell_range(kappa))
     start = initial_xors(total / scale, kappa)
     runs = runs_table(patterns.sparkSession, n)
-    cells = tiling_cells(patterns, occurring, runs, start, seed)
+    cells = tiling_cells(patterns, known, runs, start, seed)
     key = F.round(F.ln(unit(draw(F.lit(seed), F.lit("pick"), F.col("run"), F.col("p1"), F.col("p2")))) / F.col("area"), 12)
     level = F.least(F.col("depth") - start, F.lit(3)).cast("int")
     each = cells.groupBy("run", level.alias("level")).agg(F.sum("area").alias("w"), F.max(F.struct(key.alias("key"), "p1", "p2", "area")).alias("best"))
@@ -185,5 +218,3 @@ def two_term_dnf(patterns: DataFrame, occurring: DataFrame) -> DataFrame:
     both = pairs.join(occurring.select("pattern", F.col("freq").alias("fb"), F.col("freq_pos").alias("gb")), "pattern", "left")
     f, g = F.col("f1") + F.col("f2") - F.coalesce("fb", F.lit(0)), F.col("g1") + F.col("g2") - F.coalesce("gb", F.lit(0))
     return both.select(F.col("pattern1").alias("p1"), F.col("pattern2").alias("p2"), f.alias("freq"), g.alias("freq_pos"), F.round(F.greatest(g, f - g) / f, 9).alias("purity"))
-
-

@@ -9,6 +9,7 @@ from __future__ import annotations
 
 import math
 import statistics
+import time
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -120,9 +121,10 @@ class Sampler:
     task: MiningTask
     oracle: str = "tidset"
     tasks: int = 64
+    held: Broadcast | None = None
 
     def __post_init__(self) -> None:
-        self.held: Broadcast = self.spark.sparkContext.broadcast(self.data)
+        self.held = self.held or self.spark.sparkContext.broadcast(self.data)
         stats, c = self.data.stats(), self.task.constraints.bound(self.data.transactions)
         self.scale = float(self.task.quality.scale(stats))
         self.tilt = float(self.task.quality.tilt(stats, c))
@@ -182,7 +184,34 @@ class Sampler:
             first += batch
 
     def count(self) -> dict:
-        """Everything, without constraints and bound: patterns, weight, nodes."""
-        o = ORACLES[self.oracle](self.data, self.task.constraints, self.task.quality)
-        cell = o.solve([])
-        return {"patterns": len(cell.solutions), "weight": cell.weight, "nodes": cell.nodes}
+        """Everything, without constraints and bound: patterns, weight, nodes (B9, C9).  A task for each first item; only sums come back."""
+        held, task, name = self.held, self.task, self.oracle
+        first = ORACLES[name](self.data, task.constraints, task.quality).frequent
+
+        def work(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+            o = ORACLES[name](held.value, task.constraints, task.quality)
+            for b in batches:
+                for j in b["id"]:
+                    got = o.branch(first[int(j)])
+                    yield pd.DataFrame([(got.solutions[0][3] if got.solutions else 0, str(got.weight), got.nodes)], columns=["patterns", "weight", "nodes"])
+
+        rows = self.spark.range(0, len(first), 1, max(1, len(first))).mapInPandas(work, "patterns bigint, weight string, nodes bigint").collect()
+        return {k: sum(int(r[k]) for r in rows) for k in ("patterns", "weight", "nodes")}
+
+    def timeline(self, kappas: tuple[float, ...] = (0.9, 0.5, 0.1), batches: int = 2, size: int = 50, params: EstimateParams = EstimateParams(), max_seconds: float = math.inf) -> list[tuple]:
+        """(kappa, batch, requested, drawn, ready_s, ms_per_sample, calls): pre-processing as batch 0, then batches of samples, and when each was ready (C2-C5).  Nothing
+        is started once max_seconds have passed."""
+        began, out = time.perf_counter(), []
+        estimate = self.estimate(params)
+        seconds = lambda: round(time.perf_counter() - began, 3)
+        out.append((None, 0, 0, 0, seconds(), 0.0, estimate.calls))
+        for kappa in kappas:
+            one = Sampler(self.spark, self.data, MiningTask(self.task.constraints, self.task.quality, kappa), self.oracle, self.tasks, self.held)
+            one.w_max = self.w_max
+            for b in range(batches):
+                if seconds() > max_seconds or not estimate.total:
+                    return out
+                at = seconds()
+                rows = one.sample(estimate.total, size, b * size).select("status", "oracle_calls").collect()
+                out.append((kappa, b + 1, size, sum(r["status"] == "ok" for r in rows), seconds(), round((seconds() - at) * 1000 / size, 2), sum(r["oracle_calls"] for r in rows)))
+        return out

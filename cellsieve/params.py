@@ -34,7 +34,7 @@ def estimation_pivot(tolerance: float = 0.8) -> int:
 
 def initial_xors(total: float, kappa: float, w_max: float = 1.0) -> int:
     """XORs with which sampling starts; total and w_max are scaled weights.  None are needed where everything fits into one cell."""
-    if total <= cell_range(kappa)[1] * w_max:
+    if total <= cell_range(kappa)[1] * w_max:  # also where there is nothing at all
         return 0
     return max(0, math.ceil(math.log2(total / w_max) + math.log2(1.8) - math.log2(sampling_pivot(kappa))) - 3)
 

@@ -62,6 +62,8 @@ class Quality:
     tilt: Callable[[dict, Constraints], float]
     spark: str
     labelled: bool = False
+    #: Weights may exceed 64 bits.
+    wide: bool = False
 
 
 QUALITIES = {
@@ -70,10 +72,40 @@ QUALITIES = {
     # in millionths, so that sums are exact
     "purity": Quality("purity", lambda n, f, p: MICRO * max(p, f - p) // f, lambda s: MICRO, lambda s, c: 2, f"{MICRO} * greatest(freq_pos, freq - freq_pos) div freq", True),
     "area": Quality("area", lambda n, f, p: f * n, lambda s: s["ones"], lambda s, c: s["ones"] / (c.minsup * max(1, c.min_len)), "freq * size"),
-    "freq4": Quality("freq4", lambda n, f, p: f**4, lambda s: s["transactions"] ** 4, lambda s, c: (s["transactions"] / c.minsup) ** 4, "freq * freq * freq * freq"),
+    "freq4": Quality("freq4", lambda n, f, p: f**4, lambda s: s["transactions"] ** 4, lambda s, c: (s["transactions"] / c.minsup) ** 4, "CAST(freq AS DECIMAL(19,0)) * freq * freq * freq", wide=True),
 }
 
 
+def high_tilt(name: str, transactions: int, positive: int) -> Quality:
+    """chi2, information gain (`gain`) or weighted relative accuracy (`wracc`) of a pattern against the label, whole millionths (Q7).
+
+    None has a tilt bound: the least positive value may be as small as a millionth, so sample them by cells.sample_tilt_sliced or between two
+    bounds of the quality (K9).  The label is positive in `positive` of the transactions."""
+    n, q = float(transactions), positive / transactions if transactions else 0.0
+    entropy = lambda x: 0.0 if x <= 0 or x >= 1 else -x * math.log2(x) - (1 - x) * math.log2(1 - x)
+
+    def weight(_: int, f: int, p: int) -> int:
+        if not f or not 0 < q < 1:
+            return 0
+        if name == "chi2":
+            value = n * (p / n - f / n * q) ** 2 / (q * (1 - q) * (f / n) * (1 - f / n)) if f < n else 0.0
+        elif name == "gain":
+            value = entropy(q) - f / n * entropy(p / f) - ((n - f) / n * entropy((positive - p) / (n - f)) if f < n else 0.0)
+        else:
+            value = abs(p / n - f / n * q)
+        return math.floor(max(0.0, value) * MICRO + 1e-6)
+
+    x, f, rest = f"(freq_pos / {n}D)", f"(freq / {n}D)", f"({n}D - freq)"
+    h = lambda v: f"(CASE WHEN {v} <= 0 OR {v} >= 1 THEN 0D ELSE -{v} * log2({v}) - (1 - {v}) * log2(1 - {v}) END)"
+    value = {
+        "chi2": f"CASE WHEN freq < {n}D THEN {n}D * power({x} - {f} * {q}D, 2) / ({q * (1 - q)}D * {f} * (1 - {f})) ELSE 0D END",
+        "gain": f"{entropy(q)}D - {f} * {h('(freq_pos / freq)')} - CASE WHEN freq < {n}D THEN {rest} / {n}D * {h(f'(({float(positive)}D - freq_pos) / {rest})')} ELSE 0D END",
+        "wracc": f"abs({x} - {f} * {q}D)",
+    }[name]
+    spark = f"CAST(floor(greatest({value}, 0D) * {MICRO} + 1e-6D) AS BIGINT)" if 0 < q < 1 else "0"
+    return Quality(name, weight, lambda s: MICRO * {"chi2": n, "gain": 1.0, "wracc": 0.25}[name], lambda s, c: math.inf, spark, True)
+
+
 def black_box(name: str, fn: Callable[[int, int, int], int], scale: float, tilt: float) -> Quality:
     """Any function of (items, freq, positive freq) with integer results up to `scale` (Q8)."""
     return Quality(name, fn, lambda s: scale, lambda s, c: tilt, "")
@@ -92,6 +124,8 @@ class Data:
     positive: Sequence[int]
     planes: list[int] = field(default_factory=list)
     pos_planes: list[int] = field(default_factory=list)
+    #: (seed, run, words of the items, the last first) of the run that was asked for last.
+    words: tuple = (None, None, [])
 
     def __post_init__(self) -> None:
         self.planes, self.pos_planes = planes(self.mult), planes(self.positive)

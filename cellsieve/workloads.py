@@ -12,13 +12,14 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .functions.hashing import draw_sql, trailing_zeros_sql, unit_sql
-from .operators import baselines, cells, metrics, mining, patternsets, search
+from .functions.hashing import draw_sql, share_sql, trailing_zeros_sql, unit_sql
+from .functions.lineage import cut
+from .operators import baselines, cells, metrics, mining, patternsets, search, sharded
 from .params import EstimateParams, cell_range, epsilon, estimation_pivot, initial_xors
 from .sources import encodings
 from .sources.encodings import ORDER_ATTRIBUTES, ORDER_SQL
 from .sources.tables import load
-from .spec import QUALITIES, Constraints, MiningTask
+from .spec import QUALITIES, Constraints, MiningTask, high_tilt
 
 THETA = 0.01
 LOW_THETA = 0.002
@@ -48,6 +49,11 @@ def frequent(spark: SparkSession, d: str, theta: float = THETA) -> DataFrame:
     return mining.frequent_cube(encodings.order_attributes(spark, d), ORDER_ATTRIBUTES, minsup(spark, d, theta))
 
 
+def kept(spark: SparkSession, d: str, theta: float = THETA) -> DataFrame:
+    """The same, mined once, for queries that read it several times."""
+    return cut(frequent(spark, d, theta))
+
+
 def occurring(spark: SparkSession, d: str) -> DataFrame:
     return mining.frequent_cube(encodings.order_attributes(spark, d), ORDER_ATTRIBUTES, 1)
 
@@ -57,14 +63,15 @@ ATTRS = ", ".join(ORDER_ATTRIBUTES)
 
 def cube_sql(theta: float | None, name: str = "pat") -> str:
     least = f"(SELECT ceil({theta} * count(*) - 1e-9) FROM orders)" if theta else "1"
-    return f"""{name} AS (SELECT concat_ws(',', {ATTRS}) AS pattern, list_filter([{ATTRS}], lambda x: x IS NOT NULL) AS items,
+    return f"""{name} AS MATERIALIZED (SELECT concat_ws(',', {ATTRS}) AS pattern, list_filter([{ATTRS}], lambda x: x IS NOT NULL) AS items,
  CAST(len(list_filter([{ATTRS}], lambda x: x IS NOT NULL)) AS INTEGER) AS size, CAST(count(*) AS BIGINT) AS freq, CAST(sum(CAST(label AS INT)) AS BIGINT) AS freq_pos
  FROM ({ORDER_SQL}) GROUP BY CUBE ({ATTRS}) HAVING count(*) >= {least} AND concat_ws(',', {ATTRS}) <> '')"""
 
 
 PAT = cube_sql(THETA)
-CLOSED = """clo AS (SELECT p.* FROM pat p WHERE NOT EXISTS (SELECT 1 FROM (SELECT array_to_string(list_filter(items, lambda x, i: i <> k), ',') AS sub, freq AS f FROM pat, range(1, 7) t(k) WHERE k <= size AND size > 1) s
- WHERE s.sub = p.pattern AND s.f = p.freq))"""
+#: pat without the patterns of which one with an item more has the same frequency.
+CLOSED = """sub AS MATERIALIZED (SELECT DISTINCT array_to_string(list_filter(items, lambda x, i: i <> k), ',') AS pattern, freq FROM (SELECT items, freq, unnest(range(1, size + 1)) AS k FROM pat WHERE size > 1)),
+clo AS MATERIALIZED (SELECT * FROM pat ANTI JOIN sub USING (pattern, freq))"""
 COLUMNS = "pattern, size, freq, freq_pos"
 WEIGHT = {"uniform": "1", "freq": "freq", "purity": "1000000 * greatest(freq_pos, freq - freq_pos) // freq", "area": "freq * size"}
 SCALE_SQL = {"uniform": "1", "freq": "(SELECT count(*) FROM orders)", "purity": "1000000"}
@@ -108,16 +115,14 @@ def one_hot_matrix(s, d):
 # mining -----------------------------------------------------------------------------------------------------------------------------------
 
 query("frequent_cube", f"WITH {PAT} SELECT {COLUMNS} FROM pat")(lambda s, d: show(frequent(s, d)))
-query("frequent_levelwise", f"WITH {PAT} SELECT {COLUMNS} FROM pat WHERE size <= 3")(lambda s, d: show(mining.frequent_levelwise(encodings.order_dims(s, d), minsup(s, d, THETA), 3)))
+query("frequent_levelwise", f"WITH {PAT} SELECT {COLUMNS} FROM pat")(lambda s, d: show(mining.frequent_levelwise(encodings.order_dims(s, d), minsup(s, d, THETA), 6)))
 query("frequent_fpgrowth", f"WITH {PAT} SELECT pattern, size, freq FROM pat")(lambda s, d: mining.frequent_fpgrowth(encodings.order_dims(s, d), minsup(s, d, THETA), load(s, d, "orders").count()))
-query("closed_itemsets", f"WITH {PAT}, {CLOSED} SELECT {COLUMNS} FROM clo")(lambda s, d: show(mining.closed_itemsets(frequent(s, d))))
-query("maximal_itemsets", f"WITH {PAT} SELECT {COLUMNS} FROM pat p WHERE NOT EXISTS (SELECT 1 FROM pat q WHERE q.size = p.size + 1 AND list_has_all(q.items, p.items))")(lambda s, d: show(mining.maximal_itemsets(frequent(s, d))))
-query("free_generators", f"""WITH {PAT}, sub AS (SELECT pattern AS whole, freq, array_to_string(list_filter(items, lambda x, i: i <> k), ',') AS sub FROM pat, range(1, 7) t(k) WHERE k <= size AND size > 1)
-SELECT {COLUMNS} FROM pat p WHERE NOT EXISTS (SELECT 1 FROM sub JOIN pat q ON q.pattern = sub.sub AND q.freq = sub.freq WHERE whole = p.pattern) AND (size > 1 OR freq < (SELECT count(*) FROM orders))""")(
-    lambda s, d: show(mining.free_generators(frequent(s, d), load(s, d, "orders").count()))
-)
+query("closed_itemsets", f"WITH {PAT}, {CLOSED} SELECT {COLUMNS} FROM clo")(lambda s, d: show(mining.closed_itemsets(kept(s, d))))
+query("maximal_itemsets", f"WITH {PAT} SELECT {COLUMNS} FROM pat p WHERE NOT EXISTS (SELECT 1 FROM pat q WHERE q.size = p.size + 1 AND list_has_all(q.items, p.items))")(lambda s, d: show(mining.maximal_itemsets(kept(s, d))))
+FREE = """not_free AS MATERIALIZED (SELECT DISTINCT whole AS pattern FROM (SELECT pattern AS whole, freq, array_to_string(list_filter(items, lambda x, i: i <> k), ',') AS pattern FROM (SELECT pattern, items, freq, unnest(range(1, size + 1)) AS k FROM pat WHERE size > 1)) SEMI JOIN pat USING (pattern, freq))"""
+query("free_generators", f"WITH {PAT}, {FREE} SELECT {COLUMNS} FROM pat ANTI JOIN not_free USING (pattern) WHERE size > 1 OR freq < (SELECT count(*) FROM orders)")(lambda s, d: show(mining.free_generators(kept(s, d), load(s, d, "orders").count())))
 query("minlen_itemsets", f"WITH {PAT} SELECT {COLUMNS} FROM pat WHERE size >= 3")(lambda s, d: show(mining.constrained(frequent(s, d), Constraints(min_len=3))))
-query("fcl_itemsets", f"WITH {PAT}, {CLOSED} SELECT {COLUMNS} FROM clo WHERE size >= 2")(lambda s, d: show(mining.constrained(frequent(s, d), Constraints(closed=True, min_len=2))))
+query("fcl_itemsets", f"WITH {PAT}, {CLOSED} SELECT {COLUMNS} FROM clo WHERE size >= 2")(lambda s, d: show(mining.constrained(kept(s, d), Constraints(closed=True, min_len=2))))
 query("syntactic_itemsets", f"WITH {PAT} SELECT {COLUMNS} FROM pat WHERE list_contains(items, 'status=O') AND NOT list_contains(items, 'region=1') AND (NOT list_contains(items, 'seg=BUILDING') OR list_contains(items, 'quart=3')) AND size <= 4 AND freq <= 2000 AND freq_pos >= 50")(
     lambda s, d: show(mining.constrained(frequent(s, d), Constraints(must=("status=O",), must_not=("region=1",), implies=(("seg=BUILDING", "quart=3"),), max_len=4, max_sup=2000, min_pos=50, one_per_attribute=True)))
 )
@@ -147,7 +152,7 @@ query("quality_between", f"WITH {PAT} SELECT pattern, freq FROM pat WHERE freq B
 def depth_sql(seed: int, runs: int, source: str = "pat") -> str:
     """CTE dep(run, pattern, w, depth) of all runs and patterns."""
     return f"""it AS (SELECT DISTINCT unnest(items) AS item FROM {source}), wd AS (SELECT run, item, {draw_sql(seed, 'run', 'item')} AS word FROM range({runs}) t(run), it),
-px AS (SELECT run, pattern, any_value(w) AS w, bit_xor(word) AS v FROM (SELECT pattern, w, unnest(items) AS item FROM {source}) x JOIN wd USING (item) GROUP BY run, pattern),
+px AS MATERIALIZED (SELECT run, pattern, any_value(w) AS w, bit_xor(word) AS v FROM (SELECT pattern, w, unnest(items) AS item FROM {source}) x JOIN wd USING (item) GROUP BY run, pattern),
 dep AS (SELECT run, pattern, w, least({trailing_zeros_sql(f"xor(v, {draw_sql(seed, 'run', chr(39) + 'parity' + chr(39))})")}, {cells.DEEPEST}) AS depth FROM px)"""
 
 
@@ -155,10 +160,10 @@ def weighted_sql(quality: str, theta: float = THETA) -> str:
     return f"{cube_sql(theta, 'base')}, pat AS (SELECT *, CAST({WEIGHT[quality]} AS BIGINT) AS w FROM base)"
 
 
-query("xor_cells", f"WITH {weighted_sql('freq')}, {depth_sql(1, 4)} SELECT pattern, run, depth FROM dep")(lambda s, d: cells.with_depth(cells.weighted(frequent(s, d), "freq").select("pattern", "items", "w"), cells.runs_table(s, 4), 1).select("pattern", "run", "depth"))
+query("xor_cells", f"WITH {weighted_sql('freq')}, {depth_sql(1, 4)} SELECT pattern, run, depth FROM dep")(lambda s, d: cells.with_depth(cells.weighted(frequent(s, d), "freq").select("pattern", "items", "w"), 4, 1).select("pattern", "run", "depth"))
 query("nested_cells", f"""WITH {weighted_sql('freq')}, {depth_sql(1, 51)}, g AS (SELECT run, depth AS m, sum(w) AS w, count(*) AS n FROM dep GROUP BY 1, 2)
 SELECT run, m, CAST(sum(w) OVER d AS BIGINT) AS cell_weight, CAST(sum(n) OVER d AS BIGINT) AS n_patterns FROM g WINDOW d AS (PARTITION BY run ORDER BY m DESC)""")(
-    lambda s, d: cells.nested_cells(cells.weighted(frequent(s, d), "freq"), cells.runs_table(s, 51), 1)
+    lambda s, d: cells.nested_cells(cells.weighted(frequent(s, d), "freq"), 51, 1)
 )
 
 
@@ -177,11 +182,11 @@ def estimate_sql(quality: str, theta: float) -> str:
 cl AS (SELECT run, m, CAST(sum(w) OVER (PARTITION BY run ORDER BY m DESC) AS BIGINT) AS cw FROM g),
 fr AS (SELECT *, lead(m) OVER (PARTITION BY run ORDER BY m DESC) AS bm, lead(cw) OVER (PARTITION BY run ORDER BY m DESC) AS bw FROM cl),
 tr AS (SELECT run // 3 AS run, CAST(run % 3 AS INTEGER) AS attempt, CAST(coalesce(bm + 1, 0) AS INTEGER) AS m, cw AS cell_weight FROM fr WHERE cw <= {bound} AND (bw IS NULL OR bw > {bound})),
-est AS (SELECT run, m, cell_weight, attempt, CAST(cell_weight * (CAST(1 AS BIGINT) << m) AS BIGINT) AS estimate FROM tr QUALIFY row_number() OVER (PARTITION BY run ORDER BY attempt) = 1)"""
+est AS (SELECT run, m, cell_weight, attempt, CAST(cell_weight AS DOUBLE) * power(2.0::DOUBLE, m) AS estimate FROM tr QUALIFY row_number() OVER (PARTITION BY run ORDER BY attempt) = 1)"""
 
 
 def estimates(s: SparkSession, d: str, quality: str, theta: float) -> DataFrame:
-    return cells.estimate_runs(frequent(s, d, theta).persist(), quality, scaled(s, d, quality, theta), EstimateParams(runs=RUNS))
+    return cells.estimate_runs(frequent(s, d, theta), quality, scaled(s, d, quality, theta), EstimateParams(runs=RUNS))
 
 
 query("estimate_runs", f"WITH {estimate_sql('freq', LOW_THETA)} SELECT * FROM est")(lambda s, d: estimates(s, d, "freq", LOW_THETA))
@@ -219,7 +224,7 @@ def sample_sql(quality: str, theta: float, n: int, kappa: float) -> str:
     scale = f"CAST({SCALE_SQL[quality]} AS DOUBLE)"
     lo, hi = cell_range(kappa)
     est = estimate_sql(quality, theta)
-    deep = depth_sql(cells.SAMPLE_SEED, n).replace("it AS", "it2 AS").replace(", it)", ", it2)").replace("wd AS", "wd2 AS").replace("JOIN wd ", "JOIN wd2 ").replace("px AS", "px2 AS").replace("FROM px)", "FROM px2)").replace("dep AS", "dep2 AS")
+    deep = depth_sql(cells.SAMPLE_SEED, n).replace("it AS", "it2 AS").replace(", it)", ", it2)").replace("wd AS", "wd2 AS").replace("JOIN wd ", "JOIN wd2 ").replace("px AS MATERIALIZED", "px2 AS MATERIALIZED").replace("FROM px)", "FROM px2)").replace("dep AS", "dep2 AS")
     key = f"round(ln({unit_sql(draw_sql(cells.SAMPLE_SEED, chr(39) + 'pick' + chr(39), 'run', 'pattern'))}) / w, 12)"
     return f"""{est}, par AS (SELECT CAST({xors_sql(kappa, 'quantile_cont(estimate, 0.5)', scale)} AS INTEGER) AS start FROM est), {deep},
 ea AS (SELECT run, least(depth - start, 3) AS level, sum(w) AS w, max({{'key': {key}, 'pattern': pattern}}) AS best FROM dep2, par WHERE depth >= start GROUP BY 1, 2),
@@ -232,7 +237,7 @@ smp AS (SELECT r.run AS sample_id, CASE WHEN level IS NULL THEN 'too_large' WHEN
 
 
 def drawn(s: SparkSession, d: str, quality: str, theta: float, n: int = SAMPLES, kappa: float = KAPPA) -> DataFrame:
-    patterns = frequent(s, d, theta).persist()
+    patterns = kept(s, d, theta)
     bounds = scaled(s, d, quality, theta)
     total = cells.estimate_runs(patterns, quality, bounds, EstimateParams(runs=RUNS)).agg(F.expr("percentile(estimate, 0.5)")).first()[0]
     return cells.sample(patterns, quality, bounds, total, n, kappa)
@@ -241,13 +246,13 @@ def drawn(s: SparkSession, d: str, quality: str, theta: float, n: int = SAMPLES,
 for _q, _t in (("uniform", THETA), ("freq", LOW_THETA), ("purity", THETA)):
     query(f"cell_sample_{_q}", f"WITH {sample_sql(_q, _t, SAMPLES, KAPPA)} SELECT * FROM smp")(lambda s, d, q=_q, t=_t: drawn(s, d, q, t))
 query("success_rate", f"WITH {sample_sql('freq', LOW_THETA, SAMPLES, KAPPA)} SELECT status, count(*) AS n, round(count(*) / (SELECT count(*) FROM smp), 9) AS share FROM smp GROUP BY status")(lambda s, d: metrics.success_rate(drawn(s, d, "freq", LOW_THETA)))
-query("sliced_sample")(lambda s, d: cells.sample_tilt_sliced(frequent(s, d), "area", 200, KAPPA))
+query("sliced_sample")(lambda s, d: cells.sample_tilt_sliced(kept(s, d), "area", 200, KAPPA))
 
 # baselines --------------------------------------------------------------------------------------------------------------------------------
 
 
 def draw_from_sql(source: str, key: str, weight: str, draws: str, r: str, keep: str) -> str:
-    return f"SELECT {keep} FROM (SELECT *, {r} % (SELECT CAST(sum({weight}) AS BIGINT) FROM {source}) AS r FROM {draws}) q JOIN (SELECT *, CAST(sum({weight}) OVER (ORDER BY md5({key}), {key}) AS BIGINT) AS stop FROM {source}) c ON q.r >= c.stop - c.{weight} AND q.r < c.stop"
+    return f"SELECT {keep} FROM (SELECT *, {share_sql(r, f"(SELECT CAST(sum({weight}) AS HUGEINT) FROM {source})")} AS r FROM {draws}) q JOIN (SELECT *, CAST(sum({weight}) OVER (ORDER BY md5({key}), {key}) AS BIGINT) AS stop FROM {source}) c ON q.r >= c.stop - c.{weight} AND q.r < c.stop"
 
 
 def ideal_sql(n: int) -> str:
@@ -276,10 +281,10 @@ def held(s: SparkSession, d: str):
     return search.collect_data(encodings.order_dims(s, d))
 
 
-query("flip_chain")(lambda s, d: baselines.chain_sample(s, held(s, d), task(), "flip", 400, burn_in=2000))
-query("lattice_walk")(lambda s, d: baselines.chain_sample(s, held(s, d), task("freq"), "lattice", 400, burn_in=1000))
-query("concept_walk")(lambda s, d: baselines.chain_sample(s, held(s, d), task("freq", closed=True), "concept", 400, burn_in=1000))
-SCAN = f"""ln AS (SELECT pattern, items, row_number() OVER (ORDER BY pattern) - 1 AS line FROM pat), dr AS (SELECT batch, k, {draw_sql('2', "'scan'", 'batch', 'k')} % (SELECT count(*) FROM pat) AS line FROM range(20) b(batch), range(50) kk(k)),
+query("flip_chain")(lambda s, d: baselines.chain_sample(s, held(s, d), task(), "flip", 400))
+query("lattice_walk")(lambda s, d: baselines.chain_sample(s, held(s, d), task("freq"), "lattice", 400))
+query("concept_walk")(lambda s, d: baselines.chain_sample(s, held(s, d), task("freq", closed=True), "concept", 400))
+SCAN = f"""ln AS (SELECT pattern, items, row_number() OVER (ORDER BY pattern) - 1 AS line FROM pat), dr AS (SELECT batch, k, {share_sql(draw_sql('2', "'scan'", 'batch', 'k'), '(SELECT count(*) FROM pat)')} AS line FROM range(20) b(batch), range(50) kk(k)),
 ps AS (SELECT batch, CAST(row_number() OVER (PARTITION BY batch ORDER BY line, k) AS INTEGER) AS pos, line FROM dr), scn AS (SELECT batch, pos, CAST(line AS BIGINT) AS line, pattern, items FROM ps JOIN ln USING (line))"""
 query("scan_sample", f"WITH {PAT}, {SCAN} SELECT batch, pos, line, pattern FROM scn")(lambda s, d: baselines.scan_sample(frequent(s, d), 20).select("batch", "pos", "line", "pattern"))
 query("capabilities", "SELECT * FROM (VALUES ('flip chain','minimal','no','no','yes','no'),('lattice walk','yes','yes','no','depends','no'),('concept walk','monotone','yes','no','yes','no'),('two-step','no','no','yes','yes','no'),('cell sampler','generic oracle','yes','yes','tidset oracle','yes')) t(sampler, constraints, distributions, guarantees, efficiency, pattern_sets)")(
@@ -300,17 +305,13 @@ def measured(s: SparkSession, d: str) -> DataFrame:
 
 
 def ideally(s: SparkSession, d: str) -> DataFrame:
-    return metrics.compared(cells.target_distribution(frequent(s, d), "freq"), baselines.ideal_sample(frequent(s, d), "freq", SAMPLES))
+    p = kept(s, d)
+    return metrics.compared(cells.target_distribution(p, "freq"), baselines.ideal_sample(p, "freq", SAMPLES))
 
 
 query("js_divergence", f"{MEASURED} SELECT {JS} AS js FROM pq")(lambda s, d: metrics.js_divergence(measured(s, d)))
 query("js_divergence_ideal", f"{IDEAL} SELECT {JS} AS js FROM pq")(lambda s, d: metrics.js_divergence(ideally(s, d)))
 query("kl_divergence", f"{MEASURED} SELECT {KL} AS kl FROM pq")(lambda s, d: metrics.kl_divergence(measured(s, d)))
-query("factor2_share", f"{MEASURED} SELECT round(avg(CAST(q * 2 >= p AND q <= p * 2 AS DOUBLE)), 9) AS share FROM pq WHERE p > 0")(lambda s, d: metrics.share_within_factor(measured(s, d)))
-query("guarantee_check", f"{IDEAL} SELECT count(*) AS judged, count_if(NOT (q * (1 + {epsilon(KAPPA)}) >= p AND q <= p * (1 + {epsilon(KAPPA)}))) AS outside FROM pq WHERE p * {SAMPLES} >= 3")(lambda s, d: metrics.check_guarantee(ideally(s, d), epsilon(KAPPA), SAMPLES, 3))
-query("band_by_target", f"{IDEAL} SELECT freq, count(*) AS n, round(avg(p), 12) AS target, round(avg(q), 12) AS mean, round(quantile_cont(q, 0.05), 12) AS low, round(quantile_cont(q, 0.95), 12) AS high FROM pat JOIN pq USING (pattern) GROUP BY freq")(
-    lambda s, d: metrics.band_by_target(frequent(s, d), ideally(s, d))
-)
 BAT = "bat AS (SELECT sample_id // 50 AS batch, CAST(sample_id % 50 + 1 AS INTEGER) AS pos, string_split(pattern, ',') AS items FROM smp WHERE pattern IS NOT NULL)"
 
 
@@ -324,10 +325,10 @@ query("exchangeability_gap_scan", f"WITH {PAT}, {SCAN}, {gap_sql('scn')} SELECT
 query("exchangeability_gap_cells", f"WITH {sample_sql('uniform', THETA, 1000, KAPPA)}, {BAT}, {gap_sql('bat')} SELECT round(max(gap), 9) AS largest_gap, round(avg(gap), 9) AS mean_gap FROM gp")(
     lambda s, d: metrics.exchangeability_gap(baselines.batches_of(drawn(s, d, "uniform", THETA, 1000)), 50)
 )
-query("diversity", f"""WITH {weighted_sql('freq')}, {ideal_sql(300)}, c AS (SELECT pattern, string_split(pattern, ',') AS items, count(*) AS n FROM smp GROUP BY pattern),
+query("diversity", f"""WITH {sample_sql('purity', THETA, 300, KAPPA)}, c AS (SELECT pattern, string_split(pattern, ',') AS items, count(*) AS n FROM smp WHERE pattern IS NOT NULL GROUP BY pattern),
 j AS (SELECT sum(CASE WHEN a.pattern = b.pattern THEN a.n * (a.n - 1) ELSE a.n * b.n END * len(list_intersect(a.items, b.items)) / (len(a.items) + len(b.items) - len(list_intersect(a.items, b.items)))) / sum(CASE WHEN a.pattern = b.pattern THEN a.n * (a.n - 1) ELSE a.n * b.n END) AS j FROM c a, c b)
 SELECT CAST(sum(n) AS BIGINT) AS samples, round(count(*) / sum(n), 9) AS distinct_share, (SELECT count(DISTINCT i) FROM (SELECT unnest(items) AS i FROM c)) AS items_touched, (SELECT round(j, 9) FROM j) AS mean_jaccard FROM c""")(
-    lambda s, d: metrics.diversity(baselines.ideal_sample(frequent(s, d), "freq", 300).withColumn("items", F.split("pattern", ",")))
+    lambda s, d: metrics.diversity(cut(drawn(s, d, "purity", THETA, 300).where("pattern is not null").select("pattern", F.split("pattern", ",").alias("items"))))
 )
 
 # pattern sets -----------------------------------------------------------------------------------------------------------------------------
@@ -343,7 +344,7 @@ def fcl(s: SparkSession, d: str, theta: float = TILING_THETA) -> DataFrame:
 
 
 def all_tilings(s: SparkSession, d: str) -> DataFrame:
-    return patternsets.tilings(fcl(s, d), occurring(s, d))
+    return patternsets.tilings(cut(fcl(s, d)), cut(occurring(s, d)))
 
 
 query("tilings_enumerated", f"WITH {FCL2}, {TILE} SELECT * FROM til")(all_tilings)
@@ -359,24 +360,42 @@ def ones(s: SparkSession, d: str) -> int:
 
 
 @query("tiling_sample")
-def tiling_sample(s, d):
-    """200 tilings, as likely as their areas; the total by the median of nine runs."""
-    p, o = fcl(s, d).persist(), occurring(s, d).persist()
-    c = ones(s, d)
-    found = patternsets.tiling_estimate(patternsets.tiling_cells(p, o, cells.runs_table(s, 9), 4, 5), 4, estimation_pivot() * float(c))
-    total = found.agg(F.expr("percentile(estimate, 0.5)")).first()[0]
-    return patternsets.tiling_sample(p, o, total, float(c), 200, KAPPA, 6)
+def tiling_sample(s, d, n: int = 200):
+    """Tilings, as likely as their areas; the total by the median of 17 runs."""
+    p, o = cut(fcl(s, d)), cut(occurring(s, d))
+    c, base, params = float(ones(s, d)), patternsets.first_level(p.count()), EstimateParams(runs=RUNS)
+    found = patternsets.tiling_estimate(patternsets.tiling_cells(p, o, cells.runs_table(s, params.runs * params.attempts), base, 5), base, estimation_pivot() * c, params)
+    total = found.agg(F.expr("percentile(estimate, 0.5)")).first()[0] or 0.0
+    return patternsets.tiling_sample(p, o, total, c, n, KAPPA, 6)
+
+
+query("tiling_six")(lambda s, d: metrics.value_ranks(cut(all_tilings(s, d)), tiling_sample(s, d, 6).where("status = 'ok'"), "area"))
+K3_THETA = 0.06
+query("tilings_three", f"""WITH {cube_sql(K3_THETA)}, {CLOSED}, {cube_sql(None, 'occ')}, fcl AS MATERIALIZED (SELECT * FROM clo), til AS MATERIALIZED (SELECT a.pattern AS p1, b.pattern AS p2, a.freq * a.size AS a1, b.freq * b.size AS a2 FROM fcl a JOIN fcl b ON a.pattern < b.pattern AND NOT list_has_any(a.items, b.items) ANTI JOIN occ ON {PAIR} = occ.pattern)
+SELECT x.p1, x.p2, y.p2 AS p3, CAST(x.a1 + x.a2 + y.a2 AS BIGINT) AS area FROM til x JOIN til y ON y.p1 = x.p2 JOIN til z ON z.p1 = x.p1 AND z.p2 = y.p2""")(
+    lambda s, d: patternsets.k_tilings(cut(mining.constrained(frequent(s, d, K3_THETA), Constraints(closed=True))), cut(occurring(s, d)), 3)
+)
+# of lines: flag and status part them in a few ways
+LINE_TX = "tx AS (SELECT row_number() OVER () AS tid, ['flag=' || l_returnflag, 'line=' || l_linestatus] AS its, false AS label FROM lineitem)"
+query("conceptual_clusterings", f"""WITH {LINE_TX}, pat AS MATERIALIZED (SELECT array_to_string(items, ',') AS pattern, items, len(items) AS size, count(*) AS freq FROM (SELECT unnest([its, its[1:1], its[2:2]]) AS items FROM tx) GROUP BY items)
+SELECT a.pattern AS p1, b.pattern AS p2, a.freq AS freq1, b.freq AS freq2, CAST(a.freq * a.size + b.freq * b.size AS BIGINT) AS area FROM pat a JOIN pat b ON a.pattern < b.pattern AND NOT list_has_any(a.items, b.items)
+WHERE a.freq + b.freq = (SELECT count(*) FROM tx) AND NOT EXISTS (SELECT 1 FROM tx WHERE list_has_all(its, a.items) AND list_has_all(its, b.items))""")(lambda s, d: clusterings(s, d))
+
+
+def clusterings(s: SparkSession, d: str) -> DataFrame:
+    line = load(s, d, "lineitem").select(F.array(F.concat(F.lit("flag="), "l_returnflag"), F.concat(F.lit("line="), "l_linestatus")).alias("items"), F.lit(False).alias("label"))
+    p = cut(mining.frequent_levelwise(line, 1, 2))
+    return patternsets.conceptual_clusterings(patternsets.tilings(p, patternsets.overlapping(p, line)), line.count())
 
 
-query("conceptual_clusterings", f"WITH {FCL2}, {TILE} SELECT * FROM til WHERE freq1 + freq2 = (SELECT count(*) FROM orders)")(lambda s, d: patternsets.conceptual_clusterings(all_tilings(s, d), load(s, d, "orders").count()))
 query("redescriptions", f"""WITH {cube_sql(0.05)}, {cube_sql(None, 'occ')} SELECT a.pattern AS p1, b.pattern AS p2, round(o.freq / (a.freq + b.freq - o.freq), 9) AS jaccard FROM pat a, pat b JOIN occ o ON o.pattern = {PAIR}
 WHERE len(list_filter(a.items, lambda x: split_part(x, '=', 1) NOT IN ('pri', 'quart', 'status'))) = 0 AND len(list_filter(b.items, lambda x: split_part(x, '=', 1) IN ('pri', 'quart', 'status'))) = 0 AND o.freq / (a.freq + b.freq - o.freq) >= 0.12""")(
-    lambda s, d: patternsets.redescriptions(frequent(s, d, 0.05), occurring(s, d), ("pri", "quart", "status"), 0.12)
+    lambda s, d: patternsets.redescriptions(kept(s, d, 0.05), occurring(s, d), ("pri", "quart", "status"), 0.12)
 )
-query("association_rules", f"""WITH {PAT}, h AS (SELECT freq, items[k] AS head, array_to_string(list_filter(items, lambda x, i: i <> k), ',') AS body FROM pat, range(1, 7) t(k) WHERE k <= size AND size > 1)
-SELECT body, head, h.freq, round(h.freq / b.freq, 9) AS confidence FROM h JOIN pat b ON b.pattern = body WHERE h.freq >= 0.3 * b.freq""")(lambda s, d: patternsets.association_rules(frequent(s, d), 0.3))
+query("association_rules", f"""WITH {PAT}, h AS MATERIALIZED (SELECT freq, items[k] AS head, array_to_string(list_filter(items, lambda x, i: i <> k), ',') AS body FROM (SELECT items, freq, unnest(range(1, size + 1)) AS k FROM pat WHERE size > 1))
+SELECT body, head, h.freq, round(h.freq / b.freq, 9) AS confidence FROM h JOIN pat b ON b.pattern = body WHERE h.freq >= 0.3 * b.freq""")(lambda s, d: patternsets.association_rules(kept(s, d), 0.3))
 query("two_term_dnf", f"""WITH {cube_sql(0.05)}, {cube_sql(None, 'occ')}, x AS (SELECT a.pattern AS p1, b.pattern AS p2, a.freq + b.freq - coalesce(o.freq, 0) AS freq, a.freq_pos + b.freq_pos - coalesce(o.freq_pos, 0) AS freq_pos FROM pat a JOIN pat b ON a.pattern < b.pattern LEFT JOIN occ o ON o.pattern = {PAIR})
-SELECT p1, p2, freq, freq_pos, round(greatest(freq_pos, freq - freq_pos) / freq, 9) AS purity FROM x""")(lambda s, d: patternsets.two_term_dnf(frequent(s, d, 0.05), occurring(s, d)))
+SELECT p1, p2, freq, freq_pos, round(greatest(freq_pos, freq - freq_pos) / freq, 9) AS purity FROM x""")(lambda s, d: patternsets.two_term_dnf(kept(s, d, 0.05), occurring(s, d)))
 
 # search oracles ---------------------------------------------------------------------------------------------------------------------------
 
@@ -395,7 +414,7 @@ def generic_count_fcl(s, d):
 
 def searched(s, d, quality: str, theta: float, oracle: str, n: int, **constraints) -> DataFrame:
     sampler = search.Sampler(s, held(s, d), task(quality, theta, **constraints), oracle)
-    return sampler.sample(sampler.estimate(EstimateParams(runs=9)).total, n)
+    return sampler.sample(sampler.estimate(EstimateParams(runs=RUNS)).total, n)
 
 
 query("tidset_sample")(lambda s, d: searched(s, d, "uniform", THETA, "tidset", 100))

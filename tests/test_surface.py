@@ -1,5 +1,7 @@
 """Sources, SQL functions, streams, and the contract of __spark_entry__ without the training-data subpackage."""
 
+import os
+import shutil
 import subprocess
 import sys
 from pathlib import Path
@@ -103,7 +105,22 @@ def test_mining_of_nothing(spark):
     assert mining.dataset_stats(empty).first()["transactions"] in (0, None)
 
 
-@pytest.mark.skipif(not (ROOT / "cellsieve" / "llm").exists(), reason="already gone")
 def test_entry_without_the_training_data_subpackage(tmp_path):
-    code = "import sys; sys.modules['cellsieve.llm'] = None; sys.modules['corpus_pipeline'] = None\nimport __spark_entry__ as e\nassert 'cell_sample_freq' in e.queries() and not any(q.startswith('op') for q in e.queries())\nassert set(e.oracle_sql()) <= set(e.queries())"
-    subprocess.run([sys.executable, "-c", code], cwd=ROOT, check=True)
+    """In a copy without the subpackage, its tests and the pipeline."""
+    for what in ("cellsieve", "tests"):
+        shutil.copytree(ROOT / what, tmp_path / what, ignore=shutil.ignore_patterns("llm", "__pycache__"))
+    shutil.copy(ROOT / "__spark_entry__.py", tmp_path)
+    code = "import __spark_entry__ as e\nassert 'cell_sample_freq' in e.queries() and not any(q.startswith('op') for q in e.queries()) and 'pipeline' not in e.queries()\nassert set(e.oracle_sql()) <= set(e.queries())"
+    env = {k: v for k, v in os.environ.items() if k != "PYTHONPATH"}
+    subprocess.run([sys.executable, "-c", code], cwd=tmp_path, check=True, env=env)
+
+
+def test_no_local_checkpoint_folder_on_a_cluster(spark):
+    from types import SimpleNamespace
+
+    from cellsieve.functions import lineage
+
+    context = SimpleNamespace(getCheckpointDir=lambda: None, master="spark://host:7077")
+    session = SimpleNamespace(sparkContext=context, conf=SimpleNamespace(get=lambda *_: None))
+    with pytest.raises(ValueError):
+        lineage.cut(SimpleNamespace(sparkSession=session))
