@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..functions.hashing import draw, draw_py, share_of, unit
+from ..functions.hashing import draw, draw_py, share_of
 from ..params import EstimateParams, cell_range, initial_xors
 from ..spec import QUALITIES, Quality
 
@@ -150,6 +150,39 @@ def depth_sums(patterns: DataFrame, runs: int, seed: int) -> DataFrame:
     return per.groupBy("run", "depth").agg(F.sum("w").cast(kind).alias("w"), F.sum("n").alias("n"))
 
 
+def raced(patterns: DataFrame, runs: int, seed: int, start: int) -> DataFrame:
+    """(run, level, w, key, pattern) of each batch: of the patterns with start + level constraints (3: or more), their weight and the one whose key,
+    round(ln(u) / w, 12) for its own draw u, is the largest, then the last by name."""
+    kind = patterns.schema["w"].dataType.simpleString()
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        import decimal
+        import hashlib
+        import math
+
+        words, md5, log = Words(seed, runs), hashlib.md5, math.log
+        for b in slices(batches):
+            names, w = b.column("pattern").to_pylist(), [int(x) for x in b.column("w").to_pylist()]
+            for first, run, at, depth in crossed(b, words, start):
+                sums: dict[tuple[int, int], int] = {}
+                best: dict[tuple[int, int], tuple[float, str]] = {}
+                for r, p, level in zip((run + first).tolist(), at.tolist(), np.minimum(depth - start, 3).tolist()):
+                    cell = r, level
+                    u = int(md5(f"{seed}:pick:{r}:{names[p]}".encode()).hexdigest()[:13], 16)
+                    key = log((u + 0.5) / 4503599627370496.0) / w[p]
+                    if cell in sums:
+                        sums[cell] += w[p]
+                        if key > best[cell][0] - 1e-11:
+                            best[cell] = max(best[cell], (round(key, 12), names[p]))
+                    else:
+                        sums[cell], best[cell] = w[p], (round(key, 12), names[p])
+                weight = [decimal.Decimal(x) for x in sums.values()] if kind != "bigint" else list(sums.values())
+                columns = [pa.array([c[0] for c in sums], pa.int64()), pa.array([c[1] for c in sums], pa.int32()), pa.array(weight, pa.int64() if kind == "bigint" else pa.decimal128(38, 0))]
+                yield pa.RecordBatch.from_arrays([*columns, pa.array([k for k, _ in best.values()], pa.float64()), pa.array([n for _, n in best.values()], pa.string())], ["run", "level", "w", "key", "pattern"])
+
+    return spread(patterns).mapInArrow(work, f"run bigint, level int, w {kind}, key double, pattern string")
+
+
 def nested_cells(patterns: DataFrame, runs: int, seed: int) -> DataFrame:
     """(run, m, cell_weight, n_patterns) for every m at which some pattern has that very depth."""
     return cells_of(depth_sums(patterns, runs, seed))
@@ -205,10 +238,8 @@ def sample(patterns: DataFrame, quality: str, scaled: Scaled, total: float, n: i
     fails as `too_small`, after the fourth cell as `too_large`.  The draw is an exponential race: the pattern with the least -ln(u) / w wins, which needs no
     cell to be gathered (A.6)."""
     start = initial_xors(total / scaled.scale, kappa, scaled.w_max)
-    deep = with_depth(weighted(patterns, quality).select("pattern", "items", "w"), n, seed, start)
-    level = F.least(F.col("depth") - start, F.lit(3)).cast("int")
-    race = F.round(F.ln(unit(draw(F.lit(seed), F.lit("pick"), F.col("run"), F.col("pattern")))) / F.col("w").cast("double"), 12)
-    each = deep.groupBy("run", level.alias("level")).agg(F.sum("w").alias("w"), F.max(F.struct(race.alias("key"), F.col("pattern"))).alias("best"))
+    per = raced(weighted(patterns, quality).select("pattern", "items", "w"), n, seed, start)
+    each = per.groupBy("run", "level").agg(F.sum("w").cast(per.schema["w"].dataType).alias("w"), F.max(F.struct("key", "pattern")).alias("best"))
     return drawn_cells(each, patterns.sparkSession, scaled, start, n, kappa)
 
 
