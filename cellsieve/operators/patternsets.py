@@ -16,6 +16,7 @@ from ..functions.gf2 import Conflict, Gf2System
 from ..functions.hashing import draw, trailing_zeros, unit
 from ..functions.lineage import cut
 from ..params import EstimateParams, cell_range, initial_xors
+from . import blocks
 from .cells import DEEPEST, cells_of, fitting_runs, runs_table
 from .oracles import Search
 
@@ -36,10 +37,20 @@ def covers(patterns: DataFrame, tx: DataFrame) -> DataFrame:
 
 
 def overlapping(patterns: DataFrame, tx: DataFrame) -> DataFrame:
-    """(p1, p2), p1 < p2: pairs of patterns that some transaction holds both of (K12).  For data of any width: it grows with the pairs that meet in a transaction,
-    and needs no table of all itemsets that occur."""
-    c = cut(covers(patterns, tx))
-    return c.select("row", F.col("pattern").alias("p1")).join(c.select("row", F.col("pattern").alias("p2")), "row").where("p1 < p2").select("p1", "p2").distinct()
+    """(p1, p2), p1 < p2: pairs of patterns that some transaction holds both of (K12).  For data of any width: it needs no table of all itemsets that occur, and nothing that grows
+    with the pairs that meet in each transaction."""
+    return overlapping_in(patterns, blocks.coded(tx.select("items", F.lit(False).alias("label"))))
+
+
+def overlapping_in(patterns: DataFrame, coded: DataFrame) -> DataFrame:
+    """The same from blocks.coded; the driver and the workers hold the patterns, as numbers."""
+    held = sorted((r["pattern"], r["items"]) for r in patterns.select("pattern", "items").collect())
+    if not held:
+        return patterns.select(F.col("pattern").alias("p1"), F.col("pattern").alias("p2")).where("false")
+    names = patterns.sparkSession.createDataFrame(list(enumerate(p for p, _ in held)), "n bigint, pattern string")
+    met = blocks.together(coded, [i for _, i in held])
+    one, two = (names.select(F.col("n").alias(c), F.col("pattern").alias(p)) for c, p in (("one", "p1"), ("other", "p2")))
+    return met.join(one, "one").join(two, "other").select("p1", "p2")
 
 
 def apart(pairs: DataFrame, known: DataFrame) -> DataFrame:
